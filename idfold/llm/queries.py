@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from idfold.llm import exact_dedup, hash_tree, quality_rules, url_rules
+from idfold.llm import exact_dedup, hash_tree, quality_rules, simhash_pivots, url_rules, weak_quality
 
 QUERIES = {
+    "op1_simhash_pivots": simhash_pivots.op1_simhash_pivots,
+    "op2_weak_label_classifier": weak_quality.op2_weak_label_classifier,
     "op3_risk_controlled_rules": quality_rules.op3_risk_controlled_rules,
     "op6_hash_tree_sharding": hash_tree.op6_hash_tree_sharding,
     "op7_exact_dedup": exact_dedup.op7_exact_dedup,

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from idfold.llm import exact_dedup, hash_tree, line_dedup, mixing, quality_rules, simhash_pivots, url_rules, warc_derive, weak_quality
+from idfold.llm import exact_dedup, hash_tree, line_dedup, mixing, piece_lattice, quality_rules, simhash_pivots, url_rules, warc_derive, weak_quality
 
 QUERIES = {
     "op1_simhash_pivots": simhash_pivots.op1_simhash_pivots,
@@ -13,6 +13,7 @@ QUERIES = {
     "op6_hash_tree_sharding": hash_tree.op6_hash_tree_sharding,
     "op7_exact_dedup": exact_dedup.op7_exact_dedup,
     "op8_warc_derivatives": warc_derive.op8_warc_derivatives,
+    "op9_piece_lattice": piece_lattice.op9_piece_lattice,
     "op10_url_range_join": url_rules.op10_url_range_join,
 }
 

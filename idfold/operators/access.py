@@ -9,10 +9,12 @@ from pyspark.sql import functions as F
 def long_ids(samples: DataFrame, features: list[str]) -> DataFrame:
     """(sample_id, feature, id) from wide samples; array columns are bags."""
     kinds = dict(samples.dtypes)
-    parts = [
-        F.transform(F.col(f) if kinds[f].startswith("array") else F.array(f), lambda x, f=f: F.struct(F.lit(f).alias("feature"), x.cast("long").alias("id")))
-        for f in features
-    ]
+
+    def entries(feature: str):
+        bag = F.col(feature) if kinds[feature].startswith("array") else F.array(feature)
+        return F.transform(bag, lambda x: F.struct(F.lit(feature).alias("feature"), x.cast("long").alias("id")))
+
+    parts = [entries(f) for f in features]
     return samples.select("sample_id", F.explode(F.concat(*parts)).alias("e")).select("sample_id", "e.feature", "e.id").where("id is not null")
 
 

@@ -22,8 +22,8 @@ TRAIN_TEXTS = 4096
 SLOTS = 1 << 14
 SHAPES = 64
 LABELLERS = ("symbols", "noise", "plain", "capitals", "bangs", "pipes", "variety", "stutter")
-#: A plain word, letters with one mark at most behind them.
-PLAIN_WORD = r"^[\p{L}'’-]+[.,;:?!]?$"
+#: A plain word, letters with one mark at most behind them, between white space.
+PLAIN_WORD = r"(?<![^\x20\x09-\x0D])[\p{L}'’-]++[.,;:?!]?(?![^\x20\x09-\x0D])"
 
 GOOD, BAD, ABSTAIN = 1, 0, -1
 
@@ -34,13 +34,12 @@ def _vote(bad: Column, good: Column) -> Column:
 
 def _stutters(words: Column) -> Column:
     """Words equal to the word before them."""
-    start = F.struct(F.lit(0).cast("long").alias("n"), F.lit("").alias("last"))
-    step = lambda acc, w: F.struct((acc["n"] + F.when(acc["last"] == w, 1).otherwise(0)).alias("n"), w.alias("last"))
-    return F.aggregate(words, start, step, lambda acc: acc["n"])
+    same = F.zip_with(words, F.slice(words, F.lit(2), F.greatest(F.size(words), F.lit(1))), lambda x, y: x == y)
+    return F.size(F.filter(same, lambda e: e)).cast("long")
 
 
 def measures(text: Column) -> Column:
-    """Counts that labellers and shape features use, as one struct per text."""
+    """Counts that labellers and shape features use, as one struct per text (n_plain: characters of plain words)."""
     text = F.coalesce(text, F.lit(""))
     return let(
         words_of(text),
@@ -52,7 +51,7 @@ def measures(text: Column) -> Column:
             n_upper(text).alias("n_upper"),
             (F.length(text) - F.length(F.replace(text, F.lit("|"), F.lit("")))).cast("long").alias("n_pipes"),
             (F.length(text) - F.length(F.replace(text, F.lit("!"), F.lit("")))).cast("long").alias("n_bangs"),
-            F.size(F.filter(w, lambda x: F.rlike(x, F.lit(PLAIN_WORD)))).cast("long").alias("n_plain"),
+            (F.length(text) - F.length(F.regexp_replace(text, PLAIN_WORD, ""))).cast("long").alias("n_plain"),
             _stutters(w).alias("n_stutters"),
         ),
     )
@@ -69,7 +68,7 @@ def votes(m: Column) -> list[Column]:
     return [
         _vote(20 * (m["n_symbols"] - m["n_pipes"]) > chars, 100 * (m["n_symbols"] - m["n_pipes"]) <= chars),
         _vote(25 * noise > chars, 100 * noise <= chars),
-        _vote((n >= 15) & (10 * m["n_plain"] < 7 * n), 10 * m["n_plain"] > 9 * n),
+        _vote((n >= 15) & (10 * m["n_plain"] < 7 * chars), 10 * m["n_plain"] > 9 * chars),
         _vote((n >= 5) & (10 * m["n_upper"] > 3 * chars), 10 * m["n_upper"] < chars),
         _vote((n >= 5) & (5 * m["n_bangs"] > n), 20 * m["n_bangs"] < n),
         _vote((n >= 10) & (4 * m["n_pipes"] > n), m["n_pipes"] == 0),
@@ -113,7 +112,7 @@ def shape_slots(m: Column) -> Column:
         F.lit(base) + level(m["n_distinct"] * F.sqrt(n.cast("double")) / n, 15),
         F.lit(base + 16) + level(40 * m["n_symbols"] / chars, 15),
         F.lit(base + 32) + level(20 * m["n_upper"] / chars, 15),
-        F.lit(base + 48) + level(8 * (m["n_plain"] + 5) / (n + 5), 7),
+        F.lit(base + 48) + level(8 * (m["n_plain"] + 30) / (chars + 30), 7),
         F.lit(base + 56) + level(10 * m["n_stutters"] / n, 7),
     )
 

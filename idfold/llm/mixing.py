@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from idfold.llm.common import settle, table, unit_draw, words_of
+from idfold.llm.common import let, settle, table, unit_draw, words_of
 
 MARGINS = ("source", "lang", "topic")
 #: Target shares are proportional to (tokens of the margin) ** exponent unless given.
@@ -100,6 +100,21 @@ def probabilities(raked: DataFrame, *, budget: float = BUDGET, steps: int = SCAL
     return cells.withColumn("probability", F.round(chance, DECIMALS))
 
 
+def chances_of(rows: DataFrame, *, targets: dict[str, DataFrame] | None, budget: float, rounds: int) -> DataFrame:
+    """(source, lang, topic, probability) from the rows of ``counted``."""
+    cells = settle(rows.groupBy(*MARGINS).agg(F.sum("n_tokens").alias("tokens")))
+    wanted = {m: settle((targets or {}).get(m) or default_targets(cells, m)) for m in MARGINS}
+    return settle(probabilities(rake(cells, wanted, rounds=rounds), budget=budget).select(*MARGINS, "probability"))
+
+
+def is_small(chances: DataFrame) -> bool:
+    return chances.limit(BROADCAST_CELLS + 1).count() <= BROADCAST_CELLS
+
+
+def _draw(id_: Column) -> Column:
+    return unit_draw(F.coalesce(id_.cast("string"), F.lit("null")), F.lit("mix"))
+
+
 def mix(docs: DataFrame, *, targets: dict[str, DataFrame] | None = None, budget: float = BUDGET, rounds: int = ROUNDS, **columns: str) -> DataFrame:
     """One row per row of ``docs``: doc_id, source, lang, topic, n_tokens, probability, kept.
 
@@ -108,20 +123,26 @@ def mix(docs: DataFrame, *, targets: dict[str, DataFrame] | None = None, budget:
     empty result; extra columns are ignored.
     """
     rows = settle(counted(docs, **columns))
-    cells = settle(rows.groupBy(*MARGINS).agg(F.sum("n_tokens").alias("tokens")))
-    wanted = {m: (targets or {}).get(m) or default_targets(cells, m) for m in MARGINS}
-    wanted = {m: settle(t) for m, t in wanted.items()}
-    chances = settle(probabilities(rake(cells, wanted, rounds=rounds), budget=budget).select(*MARGINS, "probability"))
-    if chances.limit(BROADCAST_CELLS + 1).count() <= BROADCAST_CELLS:
-        chances = F.broadcast(chances)
-    draw = unit_draw(F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.lit("mix"))
-    return rows.join(chances, list(MARGINS)).select("doc_id", *MARGINS, "n_tokens", "probability", (draw < F.col("probability")).alias("kept"))
-
-
-def sample(docs: DataFrame, *, id_col: str = "doc_id", **options) -> DataFrame:
-    """The drawn rows of ``docs`` with all their columns."""
-    kept = mix(docs, id_col=id_col, **options).where("kept").select(F.coalesce(F.col("doc_id").cast("string"), F.lit("null")).alias("__mixed")).distinct()
-    return docs.join(kept, F.coalesce(F.col(id_col).cast("string"), F.lit("null")) == F.col("__mixed"), "left_semi")
+    chances = chances_of(rows, targets=targets, budget=budget, rounds=rounds)
+    joined = rows.join(F.broadcast(chances) if is_small(chances) else chances, list(MARGINS))
+    return joined.select("doc_id", *MARGINS, "n_tokens", "probability", (_draw(F.col("doc_id")) < F.col("probability")).alias("kept"))
+
+
+def sample(docs: DataFrame, *, targets: dict[str, DataFrame] | None = None, budget: float = BUDGET, rounds: int = ROUNDS, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", lang_col: str = "lang") -> DataFrame:
+    """The drawn rows of ``docs`` with all their columns.
+
+    A row's cell follows from the row itself, so texts are not moved: the probabilities come to them.
+    """
+    columns = {"id_col": id_col, "text_col": text_col, "source_col": source_col, "lang_col": lang_col}
+    chances = chances_of(counted(docs, **columns), targets=targets, budget=budget, rounds=rounds)
+    cell = {
+        "__source": F.coalesce(F.col(source_col).cast("string"), F.lit("")),
+        "__lang": F.coalesce(F.col(lang_col).cast("string"), F.lit("")),
+        "__topic": let(F.size(words_of(F.col(text_col))).cast("long"), lambda n: topic_of(F.col(text_col), n)),
+    }
+    known = chances.select(*[F.col(m).alias(f"__{m}") for m in MARGINS], F.col("probability").alias("__probability"))
+    joined = docs.withColumns(cell).join(F.broadcast(known) if is_small(chances) else known, list(cell))
+    return joined.where(_draw(F.col(id_col)) < F.col("__probability")).select(*[docs[c] for c in docs.columns])
 
 
 def op4_raked_mixing(spark, sf_dir: str) -> DataFrame:

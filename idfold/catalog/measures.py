@@ -82,7 +82,7 @@ def base_quantile(spark, sf_dir):
     return _map(baselines.quantile(_chain_values(spark, sf_dir), ROWS))
 
 
-@query("base_quantile_access", f"WITH {CHAIN_SQL} SELECT 0 AS slot, id, least(((sum(accesses) OVER (ORDER BY value, id) - accesses) * {ROWS} / sum(accesses) OVER ())::DOUBLE // 1, {ROWS - 1})::BIGINT AS row FROM chain")
+@query("base_quantile_access", f"WITH {CHAIN_SQL} SELECT 0 AS slot, id, least((sum(accesses) OVER (ORDER BY value, id) - accesses)::BIGINT * {ROWS} // (sum(accesses) OVER ())::BIGINT, {ROWS - 1})::BIGINT AS row FROM chain")
 def base_quantile_access(spark, sf_dir):
     return _map(baselines.quantile_access(_chain_values(spark, sf_dir), ROWS))
 

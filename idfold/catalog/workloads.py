@@ -66,11 +66,6 @@ def _run(w: Words, maps: dict[str, DataFrame], *, reps: int = 2, train_days=(src
     return experiments.report(experiments.run_cells(w.data(train_days), _cells(maps), reps=reps)).withColumn("size_pct", F.round(100.0 * F.col("rows") / w.n, 3))
 
 
-def _id_order(w: Words) -> DataFrame:
-    """Dense ids of the kept vocabulary, for modulo hashing over consecutive ids."""
-    return w.vocab
-
-
 @query("wl_fig1")
 def wl_fig1(spark, sf_dir):
     """Quality against size for hashing: modulo and random."""
@@ -197,7 +192,9 @@ def wl_fig5(spark, sf_dir):
     c, maps, room = w.chain(t), {}, w.rows(5)
     counts = settle(t.select("feature", "id", "accesses"))
     for pct in (0.0, 1.0, 2.5):
-        maps[f"hashed_retain_{pct}"] = _both_slots(baselines.retain_double_hash(counts, max(2, room // 2 if pct == 0 else room - w.rows(pct)), pct), w)
+        private = math.ceil(w.n * pct / 100)
+        half = max(1, (room - private) // 2)
+        maps[f"hashed_retain_{pct}"] = _both_slots(baselines.retain_double_hash(counts, private + half, pct, second=half), w)
         if pct == 0:
             maps["learned_retain_0.0"] = w.learned(c, 5)
             continue

@@ -11,21 +11,24 @@ pieces. The fold depends on the kind of model:
   (a best-sum Viterbi path over the scores of a BPE model gives other pieces).
 * ``unigram``: the Viterbi fold, best sum of scores per end.
 
-Segments encoded most often, up to ``HOT_SEGMENTS``, are broadcast to the workers that rewrite texts
-as segment numbers. The others travel: (row, segment) pairs are shuffled by segment, encoded by the
-same lattice, and shuffled back to the rewritten text of their row.
+Segments used most, up to ``HOT_SEGMENTS``, are encoded once and broadcast to the workers, which
+rewrite slices of rows as segment numbers. A slice carries its other segments along; slices are
+dealt out by one exchange, behind which the lattice encodes those segments per slice and the slice
+is put together, all without another exchange.
 """
 
 from __future__ import annotations
 
 import heapq
 import re
-import zlib
+from collections import Counter
 from dataclasses import dataclass, field
+from itertools import repeat
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -39,6 +42,7 @@ HOT_SEGMENTS = 1 << 20
 MARK = "▁"
 ALONE = "\\t\\n\\x0b\\f"
 SEGMENT_PATTERN = f"{MARK}+[^{MARK}{ALONE}]*|[^{MARK}{ALONE}]+|[{ALONE}]"
+_SEGMENTS = re.compile(SEGMENT_PATTERN)
 #: Longest segment whose borders fit the bits of a long; longer ones are merged in Python.
 MAX_FOLD = 60
 #: Single characters below this code point are looked up in a constant, others by the join.
@@ -225,55 +229,92 @@ def merge_long(seg: str, pieces: Pieces, ranks: dict[str, int]) -> list[int]:
     return out
 
 
-def encode_segments(segs: DataFrame, pieces: Pieces, *carried: str) -> DataFrame:
+def encode_segments(segs: DataFrame, pieces: Pieces, *carried: str, long: bool = True) -> DataFrame:
     """(seg, carried..., ids) for distinct segments ``segs(seg, carried...)``, by the lattice.
 
-    The exchange that brought equal segments together, if there was one, serves the grouping of
-    edges too: nothing between them moves a row.
+    An exchange by any of the columns serves the grouping of edges too: nothing between moves a row.
+    ``long=False`` is for callers that have no segments over MAX_FOLD (they would get none).
     """
-    keys = ["seg", *carried]
-    short, bpe = segs.where(F.length("seg") <= MAX_FOLD), pieces.kind == "bpe"
-    known = F.broadcast(piece_table(segs.sparkSession, pieces))
-    starts = short.select(*keys, F.explode(F.sequence(F.lit(0), F.length("seg") - 1)).alias("start"))
-    least, none = 2 if bpe else 1, F.array().cast("array<int>")
+    keys, bpe = ["seg", *carried], pieces.kind == "bpe"
+    # Joined by a long hash and compared as text behind it: many times faster than a text key.
+    known = F.broadcast(piece_table(segs.sparkSession, pieces).withColumn("piece_key", F.xxhash64("piece")).withColumnRenamed("piece", "known"))
+    none, short = F.array().cast("array<int>"), F.length("seg") <= MAX_FOLD
+    places = F.sequence(F.lit(0), F.length("seg") - 1)
+    starts = segs.select(*keys, F.explode(F.when(short, places).otherwise(F.array(F.lit(0))) if bpe else places).alias("start"))
+    least = 2 if bpe else 1
     room = F.least(F.lit(pieces.longest), F.length("seg") - F.col("start"))
     spans = F.when(room >= least, F.sequence(F.lit(least), room)).otherwise(none)
     if bpe:
-        # A cell of length 0 keeps segments without edges; single characters that the constant of
-        # the fold does not hold are looked up like longer pieces.
+        # A cell of length 0 keeps segments without edges, long ones among them; single characters
+        # that the constant of the fold does not hold are looked up like longer pieces.
         far = F.ascii(F.substring(F.col("seg"), F.col("start") + 1, F.lit(1))) >= NEAR
-        spans = F.concat(F.when(F.col("start") == 0, F.array(F.lit(0))).otherwise(none), F.when(far, F.array(F.lit(1))).otherwise(none), spans)
+        spans = F.when(short, F.concat(F.when(far, F.array(F.lit(1))).otherwise(none), spans)).otherwise(none)
+        spans = F.concat(F.when(F.col("start") == 0, F.array(F.lit(0))).otherwise(none), spans)
     cells = starts.select(*keys, "start", F.explode(spans).alias("len"))
-    edges = cells.withColumn("piece", F.substring(F.col("seg"), F.col("start") + 1, F.col("len"))).join(known, "piece", "left").where("piece_id is not null or len < 2")
+    cells = cells.withColumn("piece", F.substring(F.col("seg"), F.col("start") + 1, F.col("len")))
+    same = (F.xxhash64("piece") == F.col("piece_key")) & (F.col("piece") >= F.col("known")) & (F.col("piece") <= F.col("known"))
+    edges = cells.join(known, same, "left").where("piece_id is not null or len < 2")
     code = F.coalesce(F.col("piece_id"), F.ascii("piece") + F.lit(UNKNOWN))
     if bpe:
         # Single characters take no part in merging; the greatest rank puts them last.
         rank = F.when(F.col("len") == 1, F.lit((1 << 20) - 1)).otherwise(F.col("rank")).cast("long")
         packed = _shl(rank, F.lit(33)) + _shl(F.col("start").cast("long"), F.lit(27)) + _shl(F.col("len").cast("long"), F.lit(22)) + code.cast("long")
         edge = F.when(F.col("len") == 0, F.lit(-1).cast("long")).otherwise(packed)
-        fold = lambda e: _merge_fold(F.col("seg"), e, pieces)
-        real = lambda e: F.sort_array(F.filter(e, lambda x: x >= 0))
     else:
         lowest = min(pieces.scores.values()) - 10
         edge = F.struct("start", (F.col("start") + F.col("len")).alias("stop"), code.alias("id"), F.coalesce("score", F.lit(lowest)).alias("score"))
-        fold = lambda e: _viterbi_fold(F.col("seg"), e, pieces)
-        real = lambda e: e
     grouped = edges.select(*keys, edge.alias("edge")).groupBy(*keys).agg(F.collect_list("edge").alias("edges"))
-    folded = grouped.select(*keys, let(real(F.col("edges")), fold).alias("ids"))
     if not bpe:
-        return folded
+        return grouped.select(*keys, let(F.col("edges"), lambda e: _viterbi_fold(F.col("seg"), e, pieces)).alias("ids"))
+    real = F.sort_array(F.filter("edges", lambda x: x >= 0))
+    folded = let(real, lambda e: _merge_fold(F.col("seg"), e, pieces))
+    if not long:
+        return grouped.select(*keys, folded.alias("ids"))
     ranks = pieces.ranks()
 
     @F.pandas_udf("array<int>")
     def long_merge(seg: pd.Series) -> pd.Series:
-        return seg.map(lambda x: merge_long(x, pieces, ranks))
+        return seg.map(lambda x: None if x is None else merge_long(x, pieces, ranks))
+
+    either = F.when(short, folded).otherwise(F.col("long_ids"))
+    return grouped.withColumn("long_ids", long_merge(F.when(~short, F.col("seg")))).select(*keys, either.alias("ids"))
+
 
-    return folded.unionByName(segs.where(F.length("seg") > MAX_FOLD).select(*keys, long_merge("seg").alias("ids")))
+def split_segments(text: str) -> list[str]:
+    """Segments of a text as the workers cut them; the common case is plain string splitting."""
+    if not text:
+        return []
+    if text[0] == " " or "  " in text or MARK in text or "\0" in text or "\t" in text or "\x0b" in text or "\f" in text:
+        return _SEGMENTS.findall(marked(text))
+    parts = (MARK + text.replace(" ", "\0" + MARK).replace("\n", "\0\n\0")).split("\0")
+    return [p for p in parts if p] if "" in parts else parts
+
+
+#: Segments that a counting task holds before it hands on its counts.
+COUNTED = 1 << 20
+#: Rows and characters of a slice, at most (a longer text is a slice of its own).
+SLICE_ROWS, SLICE_CHARS = 256, 1 << 20
 
 
 def hot_segments(docs: DataFrame, *, text_col: str, bound: int) -> DataFrame:
-    """Segments whose count reaches a threshold that at most ``bound`` segments reach."""
-    counts = settle(docs.select(F.explode(segments(F.col(text_col))).alias("seg")).groupBy("seg").agg(F.count("*").alias("n")).where("n > 1"))
+    """(seg, n): at most ``bound`` segments for the dictionary, the most used ones.
+
+    Which segments it holds does not show in any result, only in what travels. Tasks count all
+    their segments and hand on those that they met twice or more; sums of these decide.
+    """
+
+    def count(batches):
+        seen: Counter = Counter()
+        for batch in batches:
+            for t in batch.column(0):
+                seen.update(split_segments(t.as_py()))
+                if len(seen) > COUNTED:
+                    yield _counts(seen)
+                    seen.clear()
+        yield _counts(seen)
+
+    local = docs.select(F.col(text_col).alias("text")).mapInArrow(count, "seg string, n long")
+    counts = settle(local.groupBy("seg").agg(F.sum("n").alias("n")))
     # Counts fall into classes of a sixteenth of a doubling: a table of some hundred rows.
     level = F.floor(16 * F.log2("n"))
     sizes = {r["level"]: r["k"] for r in counts.groupBy(level.alias("level")).agg(F.count("*").alias("k")).collect()}
@@ -283,44 +324,43 @@ def hot_segments(docs: DataFrame, *, text_col: str, bound: int) -> DataFrame:
         if total > bound:
             break
         lowest = at
-    return counts.where(level >= lowest if lowest is not None else F.lit(False)).select("seg")
+    return counts.where(level >= lowest if lowest is not None else F.lit(False)).repartition("seg")
 
 
-class Dictionary:
-    """Segments with their token ids: numbers by segment, ids in one flat array."""
+def _counts(seen: Counter) -> pa.RecordBatch:
+    pairs = [(s, n) for s, n in seen.items() if n > 1]
+    return pa.RecordBatch.from_arrays([pa.array([s for s, _ in pairs], pa.string()), pa.array([n for _, n in pairs], pa.int64())], names=["seg", "n"])
 
-    def __init__(self, encoded: pa.Table):
-        self.number = {s: k for k, s in enumerate(encoded.column("seg").to_pylist())}
-        lists = encoded.column("ids").combine_chunks() if encoded.num_rows else pa.array([], pa.list_(pa.int32()))
-        lists = lists.combine_chunks() if isinstance(lists, pa.ChunkedArray) else lists
-        self.flat = lists.flatten().to_numpy().astype(np.int32)
-        self.begin = np.concatenate([[0], np.cumsum(lists.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64))]).astype(np.int64)
 
-
-_SEGMENTS = re.compile(SEGMENT_PATTERN)
+def dictionary(encoded: pa.Table) -> tuple[dict[str, int], np.ndarray, np.ndarray]:
+    """Numbers by segment, most used first; the ids of all segments in one array; where each begins."""
+    encoded = encoded.sort_by([("n", "descending"), ("seg", "ascending")])
+    lists = encoded.column("ids").combine_chunks()
+    lists = lists.combine_chunks() if isinstance(lists, pa.ChunkedArray) else lists
+    lengths = lists.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+    number = {s: k for k, s in enumerate(encoded.column("seg").to_pylist())}
+    return number, lists.flatten().to_numpy().astype(np.int32), np.concatenate([[0], np.cumsum(lengths)]).astype(np.int64)
 
 
-def _pack(numbers: np.ndarray) -> bytes:
-    """Compressed byte planes of an int32 array."""
+def _pack(arrays: list[np.ndarray]) -> bytes:
+    """Int arrays, compressed as byte planes behind their lengths."""
     import zstandard
 
-    planes = numbers.astype("<i4").view(np.uint8).reshape(-1, 4).T
-    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(planes).tobytes())
+    head = np.array([len(arrays), *map(len, arrays)], dtype="<i4")
+    body = np.concatenate([np.asarray(a, dtype="<i4") for a in arrays]) if arrays else np.array([], dtype="<i4")
+    planes = np.ascontiguousarray(body.view(np.uint8).reshape(-1, 4).T)
+    return zstandard.ZstdCompressor(level=1).compress(head.tobytes() + planes.tobytes())
 
 
-def _unpack(data: bytes) -> np.ndarray:
+def _unpack(data: bytes) -> list[np.ndarray]:
     import zstandard
 
-    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(data), dtype=np.uint8).reshape(4, -1)
-    return np.ascontiguousarray(planes.T).view("<i4").reshape(-1)
-
-
-def _gather(flat: np.ndarray, begin: np.ndarray, take: np.ndarray) -> np.ndarray:
-    """The entries of ragged rows ``take``, one after the other."""
-    lengths = begin[take + 1] - begin[take]
-    stops = np.cumsum(lengths)
-    at = np.arange(stops[-1] if len(stops) else 0) + np.repeat(begin[take] - (stops - lengths), lengths)
-    return flat[at]
+    raw = zstandard.ZstdDecompressor().decompress(data)
+    n = int(np.frombuffer(raw, dtype="<i4", count=1)[0])
+    lengths = np.frombuffer(raw, dtype="<i4", count=n, offset=4)
+    planes = np.frombuffer(raw, dtype=np.uint8, offset=4 + 4 * n).reshape(4, -1)
+    body = np.ascontiguousarray(planes.T).view("<i4").reshape(-1)
+    return np.split(body, np.cumsum(lengths)[:-1]) if n else []
 
 
 def decode_ids(ids, pieces: Pieces) -> str:
@@ -330,89 +370,115 @@ def decode_ids(ids, pieces: Pieces) -> str:
     return (data[1:] if data[:1] == b" " else data).decode("utf-8", "replace")
 
 
+def _slices(batch: pa.RecordBatch):
+    """Parts of a batch of at most SLICE_ROWS rows and SLICE_CHARS characters, or one row."""
+    lengths = pa.compute.fill_null(pa.compute.binary_length(batch.column(2)), 0).to_pylist()
+    start, held = 0, 0
+    for i, n in enumerate(lengths):
+        if i > start and (i - start >= SLICE_ROWS or held + n > SLICE_CHARS):
+            yield batch.slice(start, i - start)
+            start, held = i, 0
+        held += n
+    if batch.num_rows > start:
+        yield batch.slice(start)
+
+
 def encode(docs: DataFrame, pieces: Pieces, *, id_col: str = "doc_id", text_col: str = "text", hot: int = HOT_SEGMENTS) -> DataFrame:
     """One row per row of ``docs``: doc_id, n_tokens, ids, exact, and the row's uid.
 
-    ``exact`` says whether decoding the ids gives the text back (false only for texts that hold the
-    space mark itself as a character, which models of this kind cannot tell from a space). Null and
-    empty texts have no tokens; characters without a piece become byte pieces; repeated rows are
+    ``exact`` says whether the tokens spell the bytes of the text (false only for texts that hold
+    the space mark itself as a character, which models of this kind cannot tell from a space). Null
+    and empty texts have no tokens; characters without a piece become byte pieces; repeated rows are
     encoded each; an empty table gives an empty result; extra columns are ignored.
     """
     spark = docs.sparkSession
-    bound = encode_segments(hot_segments(docs, text_col=text_col, bound=hot), pieces).toArrow()  # ``hot`` rows at most
-    held = spark.sparkContext.broadcast(Dictionary(bound))
+    bound = encode_segments(hot_segments(docs, text_col=text_col, bound=hot), pieces, "n").toArrow()  # ``hot`` rows at most
+    held = spark.sparkContext.broadcast(dictionary(bound))
+    del bound
     rows = with_row_uid(docs).select(ROW_UID, F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     kind = rows.schema["doc_id"].dataType.simpleString()
-
-    def cold_of(batches):
-        number = held.value.number
-        for batch in batches:
-            cold = [list({s for s in _SEGMENTS.findall(marked(t.as_py())) if s not in number}) for t in batch.column(1)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(cold, pa.list_(pa.string()))], names=[ROW_UID, "seg"])
+    ranks = pieces.ranks()
+    widths = np.array([len(x) for x in pieces.raw], dtype=np.int32)
 
     def rewrite(batches):
-        number = held.value.number
+        get = held.value[0].get
         for batch in batches:
-            codes, sums = [], []
-            for t in batch.column(2):
-                text = t.as_py() or ""
-                found = _SEGMENTS.findall(marked(text))
-                at = [number.get(s, -1) for s in found]
-                if -1 in at:
-                    order = {s: -1 - k for k, s in enumerate(sorted({s for s, n in zip(found, at, strict=True) if n < 0}))}
-                    at = [n if n >= 0 else order[s] for s, n in zip(found, at, strict=True)]
-                codes.append(_pack(np.array(at, dtype=np.int32)))
-                sums.append(zlib.crc32(text.encode("utf-8", "surrogatepass")))
-            arrays = [batch.column(0), batch.column(1), pa.array(codes, pa.binary()), pa.array(sums, pa.int64())]
-            yield pa.RecordBatch.from_arrays(arrays, names=[ROW_UID, "doc_id", "code", "crc"])
-
-    pairs = rows.select(ROW_UID, "text").mapInArrow(cold_of, f"{ROW_UID} long, seg array<string>").select(ROW_UID, F.explode("seg").alias("seg"))
-    # Segments beyond the dictionary are rare ones: few rows share one.
-    gathered = pairs.groupBy("seg").agg(F.collect_list(ROW_UID).alias("uids"))
-    # Sorted by segment, as the numbers in the rewritten texts are.
-    cold = (
-        encode_segments(gathered, pieces, "uids")
-        .select("seg", "ids", F.explode("uids").alias(ROW_UID))
-        .groupBy(ROW_UID)
-        .agg(F.transform(F.array_sort(F.collect_list(F.struct("seg", "ids"))), lambda x: x["ids"]).alias("cold"))
-    )
-    codes = rows.mapInArrow(rewrite, f"{ROW_UID} long, doc_id {kind}, code binary, crc long")
+            for part in _slices(batch):
+                cut, numbers = [split_segments(t.as_py() or "") for t in part.column(2)], []
+                for found in cut:
+                    numbers.append(np.fromiter(map(get, found, repeat(-1)), dtype=np.int32, count=len(found)))
+                missing = [np.flatnonzero(a < 0) for a in numbers]
+                rare = {found[i] for found, at in zip(cut, missing, strict=True) for i in at}
+                # Rare segments are numbered from -1 down: short ones in order, then long ones and the
+                # characters that stand alone, which are encoded here (and so can part the others).
+                here = sorted(x for x in rare if len(x) > MAX_FOLD or x in "\t\n\x0b\f")
+                short = sorted(rare.difference(here))
+                order = {x: -1 - k for k, x in enumerate(short + here)}
+                for a, found, at in zip(numbers, cut, missing, strict=True):
+                    a[at] = [order[found[i]] for i in at]
+                texts = part.column(2).to_pylist()
+                sizes = [-1 if t and MARK in t else len((t or "").encode("utf-8", "surrogatepass")) for t in texts]
+                inline = [np.array(merge_long(x, pieces, ranks), dtype=np.int32) for x in here]
+                code = _pack([np.array(sizes, dtype=np.int32), *numbers, *inline])
+                uids = part.column(0)
+                yield pa.RecordBatch.from_arrays(
+                    [uids.slice(0, 1), pa.array([uids.to_pylist()], pa.list_(pa.int64())), pa.ListArray.from_arrays(pa.array([0, len(uids)], pa.int32()), part.column(1)), pa.array([code], pa.binary()), pa.array(["\n".join(short)], pa.string())],
+                    names=["slice", "uids", "doc_ids", "code", "rare"],
+                )
+
+    slices = rows.mapInArrow(rewrite, f"slice long, uids array<bigint>, doc_ids array<{kind}>, code binary, rare string").repartition("slice")
+    # This filter keeps all rows. It reads every column and cannot be pushed down, so that both uses
+    # of the slices need the same columns and share one exchange; texts are rewritten once.
+    whole = F.coalesce(F.length("code"), F.size("uids"), F.size("doc_ids"), F.lit(0)) + F.rand() >= 0
+    rare = slices.where(whole).select("slice", "rare").where("rare != ''").select("slice", F.explode(F.split("rare", "\n")).alias("seg"))
+    encoded = encode_segments(rare, pieces, "slice", long=False)
+    per_slice = encoded.groupBy("slice").agg(F.transform(F.array_sort(F.collect_list(F.struct("seg", "ids"))), lambda x: x["ids"]).alias("rare_ids"))
 
     def assemble(batches):
-        flat, begin = held.value.flat, held.value.begin
+        _, flat, begin = held.value
         for batch in batches:
-            lists, counts, exact = [], [], []
-            for code, crc, cold in zip(batch.column(2), batch.column(3), batch.column(4), strict=True):
-                at, own = _unpack(code.as_py()), cold.values
-                if own is not None and len(own):
-                    own_begin = np.concatenate([[0], np.cumsum(own.value_lengths().to_numpy(zero_copy_only=False))]).astype(np.int64)
-                    ids = _two_sources(flat, begin, own.flatten().to_numpy(), own_begin, at)
-                else:
-                    ids = _gather(flat, begin, at)
-                lists.append(ids)
-                counts.append(len(ids))
-                exact.append(zlib.crc32(decode_ids(ids.tolist(), pieces).encode("utf-8", "surrogatepass")) == crc.as_py())
-            offsets = pa.array(np.concatenate([[0], np.cumsum(counts)]).astype(np.int32))
-            values = pa.array(np.concatenate(lists).astype(np.int32) if lists else np.array([], dtype=np.int32))
-            arrays = [batch.column(0), batch.column(1), pa.array(counts, pa.int64()), pa.ListArray.from_arrays(offsets, values), pa.array(exact, pa.bool_())]
-            yield pa.RecordBatch.from_arrays(arrays, names=[ROW_UID, "doc_id", "n_tokens", "ids", "exact"])
-
-    joined = codes.join(cold, ROW_UID, "left")
+            for uids, doc_ids, code, rare_ids in zip(batch.column(1), batch.column(2), batch.column(3), batch.column(5), strict=True):
+                n, arrays = len(uids), _unpack(code.as_py())
+                sizes, numbers, inline = arrays[0], arrays[1 : n + 1], arrays[n + 1 :]
+                own, lengths = [], []
+                if rare_ids.values is not None and len(rare_ids.values):
+                    own, lengths = [rare_ids.values.flatten().to_numpy()], rare_ids.values.value_lengths().to_numpy(zero_copy_only=False).tolist()
+                own, lengths = own + inline, lengths + [len(x) for x in inline]
+                own_flat = np.concatenate(own) if own else np.array([], dtype=np.int32)
+                own_begin = np.concatenate([[0], np.cumsum(lengths)]).astype(np.int64)
+                at = np.concatenate(numbers) if n else np.array([], dtype=np.int32)
+                ids, per_segment = _two_sources(flat, begin, own_flat, own_begin, at)
+                owner = np.repeat(np.arange(n), [len(a) for a in numbers])
+                counts = np.bincount(owner, per_segment, n).astype(np.int64)
+                stops = np.cumsum(counts)
+                spelled = np.concatenate([[0], np.cumsum(widths[ids])])
+                total = spelled[stops] - spelled[stops - counts]
+                exact = (sizes >= 0) & (total == np.where(sizes > 0, sizes + 1, 0))
+                yield pa.RecordBatch.from_arrays(
+                    [uids.values, doc_ids.values, pa.array(counts), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], stops]).astype(np.int32)), pa.array(ids)), pa.array(exact)],
+                    names=[ROW_UID, "doc_id", "n_tokens", "ids", "exact"],
+                )
+
+    joined = slices.join(per_slice, "slice", "left").select("slice", "uids", "doc_ids", "code", "rare", "rare_ids")
     return joined.mapInArrow(assemble, f"{ROW_UID} long, doc_id {kind}, n_tokens long, ids array<int>, exact boolean")
 
 
-def _two_sources(flat: np.ndarray, begin: np.ndarray, own: np.ndarray, own_begin: np.ndarray, at: np.ndarray) -> np.ndarray:
-    """Ids of segment numbers ``at``: those of the dictionary from 0 up, the row's own from -1 down."""
+def _two_sources(flat: np.ndarray, begin: np.ndarray, own: np.ndarray, own_begin: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Ids of segment numbers ``at`` and their number per segment: the dictionary's from 0 up, the slice's own from -1 down."""
+    if not len(at):
+        return np.array([], dtype=np.int32), np.array([], dtype=np.int64)
     mine = at < 0
     first, last = np.where(mine, 0, at), np.where(mine, -1 - at, 0)
+    none = np.zeros(2, dtype=np.int64)
+    begin, own_begin = (begin if len(begin) > 1 else none), (own_begin if len(own_begin) > 1 else none)
     start = np.where(mine, own_begin[last], begin[first])
-    lengths = np.where(mine, own_begin[last + 1] - own_begin[last], begin[np.minimum(first + 1, len(begin) - 1)] - begin[first])
+    lengths = np.where(mine, own_begin[last + 1] - own_begin[last], begin[first + 1] - begin[first])
     stops = np.cumsum(lengths)
     where = np.arange(stops[-1]) + np.repeat(start - (stops - lengths), lengths)
     from_own = np.repeat(mine, lengths)
     out = np.empty(len(where), dtype=np.int32)
     out[from_own], out[~from_own] = own[where[from_own]], flat[where[~from_own]]
-    return out
+    return out, lengths
 
 
 def decode(tokens: DataFrame, pieces: Pieces, *, ids_col: str = "ids", text_col: str = "text") -> DataFrame:

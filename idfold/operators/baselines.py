@@ -47,15 +47,16 @@ def kept_rows(counts: DataFrame, pct: float) -> DataFrame:
     return by_frequency(counts).withColumn("n", n).where(F.col("nth") <= F.ceil(F.col("n") * pct / 100.0)).select("feature", "id", (F.col("nth") - 1).cast("long").alias("row"))
 
 
-def retain_double_hash(counts: DataFrame, rows: int, pct: float) -> DataFrame:
+def retain_double_hash(counts: DataFrame, rows: int, pct: float, *, second: int | None = None) -> DataFrame:
     """The most used ids get private rows of slot 0; the others two hashed rows, one per slot.
 
-    ``rows`` is the height of each internal table; private rows come first in slot 0.
+    ``rows`` is the height of the first internal table, private rows first, ``second`` that of the
+    second (the same unless given).
     """
     ranked = by_frequency(counts).withColumn("n", F.count("*").over(Window.partitionBy("feature"))).withColumn("kept", F.ceil(F.col("n") * pct / 100.0))
     room = F.lit(rows) - F.col("kept")
     slot0 = F.when(F.col("nth") <= F.col("kept"), F.col("nth") - 1).otherwise(F.col("kept") + universal(F.col("id"), room, 0))
-    return _map(ranked, slot0).unionByName(_map(ranked.where("nth > kept"), universal(F.col("id"), F.lit(rows), 1), 1))
+    return _map(ranked, slot0).unionByName(_map(ranked.where("nth > kept"), universal(F.col("id"), F.lit(second or rows), 1), 1))
 
 
 def truncate(counts: DataFrame, rows: int) -> DataFrame:

@@ -126,3 +126,49 @@ def shard_rows(
 
 def op6_hash_tree_sharding(spark, sf_dir: str) -> DataFrame:
     return shard_rows(table(spark, sf_dir, "documents"))
+
+
+def _draw_sql(name: str) -> str:
+    return f"((('0x' || substr(md5(k || ':{name}'), 1, 12))::BIGINT + 0.5) / {float(1 << 48)})"
+
+
+def _descend_sql(leaves: tuple[Leaf, ...]) -> str:
+    """The descent as nested CASE expressions over the text key ``k``."""
+
+    def least(level: str, pool: list[Leaf], then) -> str:
+        sums: dict[str, float] = {}
+        for leaf in pool:
+            sums[str(getattr(leaf, level))] = sums.get(str(getattr(leaf, level)), 0.0) + leaf.weight
+        names = sorted(sums)
+        inside = {n: then([x for x in pool if str(getattr(x, level)) == n]) for n in names}
+        if len(names) == 1:
+            return inside[names[0]]
+        draws = {n: f"(-ln({_draw_sql(n)}) / {sums[n]})" for n in names}
+        whens = " ".join(f"WHEN {' AND '.join(f'{draws[n]} <= {draws[o]}' for o in names if o != n)} THEN {inside[n]}" for n in names)
+        return f"(CASE {whens} END)"
+
+    shard = lambda pool: least("shard", pool, lambda last: str(last[0].shard))
+    rack = lambda pool: least("rack", pool, shard)
+    return least("region", [x for x in leaves if x.weight > 0], rack)
+
+
+def oracle(docs: str = "documents") -> str:
+    """The same shards, slots and checksums as DuckDB SQL.
+
+    The CRC-32 is folded over the hexadecimal digits of the text, four bits at a step, with the
+    table of the reflected polynomial 0xEDB88320 built by rule.
+    """
+    step = "CASE WHEN c & 1 = 1 THEN xor(c >> 1, 3988292384) ELSE c >> 1 END"
+    folds = "n"
+    for _ in range(4):
+        folds = step.replace("c", f"({folds})")
+    table = f"list_transform(range(16), lambda n: {folds})"
+    # Hexadecimal puts the high digit of a byte first; the CRC takes the low one first.
+    digits = "list_transform(range(strlen(body) * 2), lambda i: instr('0123456789ABCDEF', substr(h, (i + CASE WHEN i % 2 = 0 THEN 2 ELSE 0 END)::BIGINT, 1)) - 1)"
+    crc = f"xor(list_reduce(list_prepend(4294967295::BIGINT, d), lambda a, x: xor(a >> 4, t[(xor(a, x) & 15) + 1])), 4294967295)"
+    return f"""WITH keyed AS (SELECT doc_id, coalesce(doc_id::VARCHAR, 'null') AS k, coalesce(text, '') AS body, hex(encode(coalesce(text, ''))) AS h FROM {docs}),
+placed AS (SELECT doc_id, strlen(body) + 1 AS size, {_descend_sql(default_tree(8))} AS shard, {_descend_sql(default_tree(9))} AS grown_shard,
+  floor({_draw_sql('slot')} * {SLOT_BUCKETS})::INT AS bucket, {digits} AS d, {table} AS t FROM keyed),
+summed AS (SELECT doc_id, size, shard, grown_shard, bucket, ({crc})::BIGINT AS text_crc32 FROM placed)
+SELECT doc_id, size, text_crc32, 'key' AS law, shard,
+  row_number() OVER (PARTITION BY shard ORDER BY bucket, doc_id NULLS LAST, size, text_crc32) - 1 AS slot, grown_shard FROM summed"""

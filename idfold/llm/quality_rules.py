@@ -133,3 +133,32 @@ def op3_risk_controlled_rules(spark, sf_dir: str) -> DataFrame:
     return judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")).select(
         "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept"
     )
+
+
+def oracle(*, rate: float = 0.02, delta: float = 0.05) -> str:
+    """The same judgement as DuckDB SQL; the tail from log-gamma terms."""
+    share = rate / len(RULES)
+    level = " + ".join(f"(x > {c})::INT" for c in GRID)
+    unpivot = " UNION ALL ".join(f"SELECT stratum, quality, '{r}' AS rule, {r} AS x FROM held" for r in RULES)
+    cutoffs = ", ".join(f"({k}, {c})" for k, c in enumerate(GRID))
+    within = " AND ".join(f"coalesce({r} <= (SELECT cutoff FROM best b WHERE b.stratum = m.stratum AND b.rule = '{r}'), true)" for r in RULES)
+    return rf"""WITH d AS MATERIALIZED (SELECT row_number() OVER () AS u, doc_id, coalesce(lang, '') AS stratum, coalesce(text, '') AS t,
+  regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+wins AS (SELECT u, unnest(range(1, len(w) - 3)) AS i, w FROM d WHERE len(w) > 4),
+keyed AS (SELECT u, i, count(*) OVER (PARTITION BY u, array_to_string(w[i:i+4], ' ')) AS n FROM wins),
+reps AS (SELECT u, count(DISTINCT p) AS n_repeat_words FROM (SELECT u, unnest([i, i+1, i+2, i+3, i+4]) AS p FROM keyed WHERE n > 1) GROUP BY u),
+ls AS (SELECT u, count(*) AS n_lines, count(*) - count(DISTINCT l) AS n_dup_lines FROM (SELECT u, unnest(string_split(t, chr(10))) AS l FROM d) WHERE regexp_matches(l, '[^\x20\x09-\x0D]') GROUP BY u),
+base AS (SELECT u, doc_id, stratum, len(w) AS n_words, length(array_to_string(w, '')) AS word_chars, length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')) AS n_symbols,
+  coalesce(n_dup_lines, 0) AS n_dup_lines, coalesce(n_repeat_words, 0) AS n_repeat_words, coalesce(n_lines, 0) AS n_lines, length(t) - length(regexp_replace(t, '\p{{Lu}}+', '', 'g')) AS n_upper
+  FROM d LEFT JOIN reps USING (u) LEFT JOIN ls USING (u)),
+m AS MATERIALIZED (SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed, 1000 * n_symbols // greatest(word_chars, 1) AS symbols, 1000 * n_upper // greatest(word_chars, 1) AS upper,
+  1000 * n_dup_lines // greatest(n_lines, 1) AS dup_lines, 1000 * n_repeat_words // greatest(n_words, 1) AS repeats FROM base),
+held AS (SELECT m.*, quality FROM m JOIN (SELECT doc_id, max(quality) AS quality FROM labels WHERE quality IS NOT NULL GROUP BY 1) USING (doc_id) WHERE NOT base_failed),
+lv AS (SELECT stratum, rule, quality, {level} AS level FROM ({unpivot})),
+cut(c, cutoff) AS (VALUES {cutoffs}),
+tested AS (SELECT stratum, rule, c, cutoff, count(*) FILTER (quality = 1) AS n, count(*) FILTER (quality = 1 AND level > {len(GRID) - 1} - c) AS lost, count(*) FILTER (quality = 0 AND level > {len(GRID) - 1} - c) AS caught FROM lv, cut GROUP BY ALL),
+tails AS (SELECT *, CASE WHEN n = 0 OR lost >= n * {share} THEN 1.0 ELSE
+  (SELECT sum(exp(lgamma(n + 1) - lgamma(i + 1) - lgamma(n - i + 1) + i * ln({share}) + (n - i) * ln(1 - {share}))) FROM (SELECT unnest(range(lost + 1)) AS i)) END AS tail FROM tested),
+stops AS (SELECT *, max((tail > {delta} / ({len(RULES)} * (SELECT count(DISTINCT stratum) FROM lv)))::INT) OVER (PARTITION BY stratum, rule ORDER BY c) AS stopped FROM tails),
+best AS (SELECT stratum, rule, arg_max(cutoff, (caught - lost, cutoff)) AS cutoff FROM stops WHERE stopped = 0 AND caught > lost GROUP BY ALL)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND {within} AS kept FROM m"""

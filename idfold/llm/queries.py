@@ -18,6 +18,8 @@ QUERIES = {
 }
 
 ORACLES = {
+    "op3_risk_controlled_rules": quality_rules.oracle(),
+    "op6_hash_tree_sharding": hash_tree.oracle(),
     "op4_raked_mixing": mixing.oracle(),
     "op7_exact_dedup": exact_dedup.SQL,
     "op10_url_range_join": url_rules.SQL,

@@ -9,7 +9,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from idfold import schemas
@@ -51,13 +51,49 @@ def merges_to_do(chain: DataFrame, params: FoldParams) -> DataFrame:
     return n.withColumn("r", F.least(F.lit(params.stride), F.col("n") - params.row_budget)).where("r > 0")
 
 
+#: Fractions at which quantiles of a score are taken, each a quarter over the one before.
+_FRACTIONS = [min(1.0, 0.0005 * 1.25**k) for k in range(36)]
+_ACCURACY = 20_000
+
+
+def leading(df: DataFrame, score: str, tie: str, width: Column) -> DataFrame:
+    """Rows of each chain that come first in the order (score, tie): at least ``width`` of them, and not many more.
+
+    Two aggregates per chain find a score that at least ``width`` rows reach, and among the rows
+    of just that score a tie-breaker; no window ever sees the rest of a chain.
+    """
+    fractions = F.array(*[F.lit(x) for x in _FRACTIONS])
+    n = df.groupBy(*KEYS).agg(F.count("*").alias("n_links"), F.max(width).alias("width"), F.percentile_approx(score, fractions, _ACCURACY).alias("q"))
+    # The sketch errs by a 1 / _ACCURACY share of the rows at most; twice that is added.
+    reach = F.col("width") / F.col("n_links") + 2.0 / _ACCURACY
+    at = F.filter(F.arrays_zip(fractions.alias("f"), F.col("q").alias("v")), lambda e: e["f"] >= reach)
+    bound = n.select(*KEYS, "width", F.coalesce(F.get(at, F.lit(0))["v"], F.element_at("q", -1)).alias("bound"))
+    near = df.join(F.broadcast(bound), KEYS)
+    ties = near.groupBy(*KEYS).agg(
+        F.sum(F.when(F.col(score) < F.col("bound"), 1).otherwise(0)).alias("below"), F.sum(F.when(F.col(score) == F.col("bound"), 1).otherwise(0)).alias("equal"),
+        F.max("width").alias("w"), F.percentile_approx(F.when(F.col(score) == F.col("bound"), F.col(tie)), fractions, _ACCURACY).alias("tq"),
+    )
+    need = (F.col("w") - F.col("below")) / F.greatest(F.col("equal"), F.lit(1)) + 2.0 / _ACCURACY
+    place = F.filter(F.arrays_zip(fractions.alias("f"), F.col("tq").alias("v")), lambda e: e["f"] >= need)
+    last = F.when(need <= 1, F.get(place, F.lit(0))["v"])
+    limits = ties.select(*KEYS, last.alias("last"))
+    kept = near.join(F.broadcast(limits), KEYS).where((F.col(score) < F.col("bound")) | ((F.col(score) == F.col("bound")) & (F.col("last").isNull() | (F.col(tie) <= F.col("last")))))
+    return kept.select(*df.columns)
+
+
+def _ranked(df: DataFrame, rank: str, order: list[Column], width: Column | None) -> DataFrame:
+    out = df.withColumn(rank, F.row_number().over(Window.partitionBy(*KEYS).orderBy(*order)))
+    return out if width is None else out.where(F.col(rank) <= width)
+
+
 def gate(scored: DataFrame, params: FoldParams) -> DataFrame:
     """The links that pass all gates, with the rank at each place and the fallback flag.
 
     ``scored`` holds links with a column r. Every place ranks by (its score, the rank before,
-    position) per chain and keeps the first of its width.
+    position) per chain and keeps the first of its width. The first place, which alone sees all
+    links, cuts them down by quantiles before it ranks.
     """
-    now, order = scored.withColumn("fallback", F.lit(False)), [F.col("pos")]
+    now, order = scored.withColumn("fallback", F.lit(False)), "pos"
     for place, name in enumerate(params.gates):
         last = place == len(params.gates) - 1
         multiple = params.widths[-len(params.gates) :][place]
@@ -65,18 +101,20 @@ def gate(scored: DataFrame, params: FoldParams) -> DataFrame:
         rank = f"rank{place + 1}"
         if name == "bulk":
             fits = F.col("bulk") < params.size_cap if params.strict else F.col("bulk") <= params.size_cap
-            any_fit = F.max(fits).over(Window.partitionBy(*KEYS))
-            now = now.withColumn("fits", fits).withColumn("fallback", ~any_fit).where(F.col("fits") | F.col("fallback"))
-            by = Window.partitionBy(*KEYS).orderBy(F.when(F.col("fallback"), F.col("bulk")).otherwise(F.lit(0)), *order)
-            now = now.withColumn(rank, F.row_number().over(by))
-            if last and params.bulk_limit == "stride":
-                now = now.where(F.col(rank) <= width)
-            else:
-                now = now.where(~F.col("fallback") | (F.col(rank) <= width))
+            some = now.groupBy(*KEYS).agg(F.max(fits).alias("some_fit"))
+            flagged = now.drop("fallback").join(F.broadcast(some), KEYS).withColumn("fallback", ~F.col("some_fit")).drop("some_fit")
+            good, rest = flagged.where(~F.col("fallback") & fits), flagged.where("fallback")
+            limit = width if last and params.bulk_limit == "stride" else None
+            if place == 0:
+                good = leading(good, order, order, width) if limit is not None else good
+                rest = leading(rest, "bulk", order, width)
+            # Without a limit the order before serves as rank; no window over all that fits.
+            good = _ranked(good, rank, [F.col(order)], limit) if limit is not None or place else good.withColumn(rank, F.col(order))
+            now = good.unionByName(_ranked(rest, rank, [F.col("bulk"), F.col(order)], width))
         else:
-            by = Window.partitionBy(*KEYS).orderBy(F.col(name), *order)
-            now = now.withColumn(rank, F.row_number().over(by)).where(F.col(rank) <= width)
-        order = [F.col(rank)]
+            now = leading(now, name, order, width) if place == 0 else now
+            now = _ranked(now, rank, [F.col(name), F.col(order)], width)
+        order = rank
     return now
 
 

@@ -48,6 +48,23 @@ def test_engines_agree_with_the_plain_fold(built, mode):
             assert {r["id"]: r["row"] for r in got if r["slot"] == d} == want
 
 
+@pytest.mark.parametrize("gates", [("bulk", "gap", "rarity"), ("gap", "rarity", "bulk"), ("rarity",), ("bulk",), ("bulk", "rarity"), ("rarity", "bulk", "gap")])
+@pytest.mark.parametrize("cap", [1, 4])
+def test_reordered_gates_agree(built, gates, cap):
+    p = FoldParams(row_budget=120, stride=50, size_cap=cap, gates=gates)
+    got = mapping.emit(built, chain.fold(built, p, engine="distributed")).where("slot = 0").collect()
+    assert {r["id"]: r["row"] for r in got} == plain(built, 0, p)[0]
+
+
+def test_leading_rows_with_many_ties(spark):
+    """A prefix of the order (score, pos) of at least the width, and not the whole chain."""
+    df = spark.range(20000).select(F.lit("f").alias("feature"), F.lit(0).alias("dim"), (F.col("id") + 1).alias("pos"), F.floor(F.col("id") % 10 / 9).cast("double").alias("gap"), F.lit(200).alias("r"))
+    got = sorted((r["gap"], r["pos"]) for r in chain.leading(df, "gap", "pos", F.col("r")).collect())
+    want = sorted((r["gap"], r["pos"]) for r in df.collect())
+    assert 200 <= len(got) < 600 and got == want[: len(got)]
+    assert chain.leading(df, "gap", "pos", F.lit(10**6)).count() == 20000
+
+
 def test_result_does_not_depend_on_partitions(teacher_table):
     p = FoldParams(row_budget=50, stride=20, size_cap=8)
     maps = []

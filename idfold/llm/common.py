@@ -44,6 +44,17 @@ def settle(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Rows of an Arrow batch where rows hold whole texts: bounds the buffers on both sides.
+TEXT_BATCH_ROWS = 1024
+
+
+def text_batches(spark: SparkSession) -> None:
+    """Lower the rows per Arrow batch of the session for stages that hand whole texts to workers."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key, "10000")) <= TEXT_BATCH_ROWS:
+        spark.conf.set(key, str(TEXT_BATCH_ROWS))
+
+
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
     """Evaluate ``value`` once per row and hand it to ``body`` (a lambda variable, never inlined)."""
     return F.get(F.transform(F.array(value), body), F.lit(0))

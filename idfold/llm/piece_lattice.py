@@ -23,16 +23,15 @@ import heapq
 import re
 from collections import Counter
 from dataclasses import dataclass, field
-from itertools import repeat
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-import pyarrow.compute
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from idfold.llm.common import ROW_UID, let, settle, table, with_row_uid
+from idfold.llm.common import ROW_UID, let, settle, table, text_batches, with_row_uid
 
 #: Where the public tokenizer lies; a parameter of every function that needs a model.
 MODEL_PATH = "/opt/tokenizers/piece_bpe_32k.model"
@@ -133,46 +132,56 @@ def _byte_ids(point: Column, base: int) -> Column:
 
 
 def _ids_of(seg: Column, chosen: Column, pieces: Pieces) -> Column:
-    """Token ids from (start << 22) + id entries in order of start."""
-    ids = F.transform(chosen, lambda x: x.bitwiseAND(F.lit((1 << 22) - 1)).cast("int"))
-    return F.flatten(F.transform(ids, lambda i: F.when(i < UNKNOWN, F.array(i)).otherwise(_byte_ids(i - UNKNOWN, pieces.byte_base))))
+    """Token ids from entries in order of start, which hold the id in their low 22 bits."""
+
+    def spell(ids: Column) -> Column:
+        known = F.array_max(ids) < UNKNOWN
+        return F.when(known, ids).otherwise(F.flatten(F.transform(ids, lambda i: F.when(i < UNKNOWN, F.array(i)).otherwise(_byte_ids(i - UNKNOWN, pieces.byte_base)))))
+
+    return let(F.transform(chosen, lambda x: x.bitwiseAND(F.lit((1 << 22) - 1)).cast("int")), spell)
 
 
 def _merge_fold(seg: Column, edges: Column, pieces: Pieces) -> Column:
-    """Token ids of a segment from its sorted edges, packed as rank, start (6), length (5), id (22 bits)."""
+    """Token ids of a segment from its sorted edges, packed as rank, start (6), length (5), id (22 bits).
+
+    Borders of the growing pieces are the bits of a long. Each edge is unpacked once to the border
+    bits it spans and those inside it.
+    """
     start = lambda e: F.shiftright(e, 27).bitwiseAND(F.lit(63)).cast("int")
     length = lambda e: F.shiftright(e, 22).bitwiseAND(F.lit(31)).cast("int")
 
-    def ends(e: Column) -> Column:
-        return _shl(_shl(1, length(e)) + F.lit(1), start(e))
-
-    def inner(e: Column) -> Column:
-        return _shl(_shl(1, length(e) - 1) - F.lit(1), start(e) + 1)
+    def spans(e: Column) -> Column:
+        over = _shl(_shl(2, length(e)) - F.lit(1), start(e))
+        inside = _shl(_shl(1, length(e)) - F.lit(2), start(e))
+        return F.struct(over.alias("over"), inside.alias("inside"), e.bitwiseAND(F.lit((63 << 27) + (1 << 22) - 1)).alias("entry"))
 
     def step(borders: Column, e: Column) -> Column:
-        between = borders.bitwiseAND(inner(e))
-        fits = (borders.bitwiseAND(ends(e)) == ends(e)) & (F.bit_count(between) == 1)
-        return F.when(fits, borders.bitwiseXOR(between)).otherwise(borders)
+        # Both ends and one border between: three bits, of which one inside.
+        fits = (F.bit_count(borders.bitwiseAND(e["over"])) == 3) & (F.bit_count(borders.bitwiseAND(e["inside"])) == 1)
+        return F.when(fits, borders.bitwiseAND(F.bitwise_not(e["inside"]))).otherwise(borders)
 
     n = F.length(seg)
-    full = _shl(1, n + 1) - F.lit(1)
-    near = F.split(F.lit(",".join(str(pieces.ids.get(chr(c), -1)) for c in range(NEAR))), ",").cast("array<int>")
+    full = _shl(2, n) - F.lit(1)
+    near = F.split(F.lit(",".join(str(pieces.ids.get(chr(c), UNKNOWN + c)) for c in range(NEAR))), ",").cast("array<int>")
 
-    def emit(borders: Column) -> Column:
-        long = F.filter(edges, lambda e: (borders.bitwiseAND(ends(e)) == ends(e)) & (borders.bitwiseAND(inner(e)) == 0))
-        taken = F.transform(long, lambda e: _shl(start(e).cast("long"), F.lit(22)) + e.bitwiseAND(F.lit((1 << 22) - 1)))
+    def emit(edges: Column, borders: Column) -> Column:
+        taken = F.filter(edges, lambda e: (F.bit_count(borders.bitwiseAND(e["over"])) == 2) & (borders.bitwiseAND(e["inside"]) == 0))
         bare = F.filter(F.sequence(F.lit(0), n - 1), lambda s: F.call_function("shiftright", borders, s).bitwiseAND(F.lit(3)) == 3)
 
         def single(s: Column) -> Column:
+            # Far single characters with a piece are edges themselves; the constant has none for them.
             point = F.ascii(F.substring(seg, s + 1, F.lit(1)))
-            known = F.when(point < NEAR, F.get(near, point)).otherwise(F.lit(None).cast("int"))
-            return F.when(point < NEAR, _shl(s.cast("long"), F.lit(22)) + F.when(known >= 0, known).otherwise(point + UNKNOWN).cast("long"))
+            own = F.exists(taken, lambda e: F.shiftright(e["entry"], 27) == s)
+            far = F.when(point >= NEAR, F.when(~own, point + UNKNOWN))
+            return _shl(s.cast("long"), F.lit(27)) + F.coalesce(F.get(near, point), far)
 
         singles = F.filter(F.transform(bare, single), lambda x: x.isNotNull())
-        return F.sort_array(F.concat(taken, singles))
+        return F.sort_array(F.concat(F.transform(taken, lambda e: e["entry"]), singles))
+
+    def run(unpacked: Column) -> Column:
+        return let(F.aggregate(unpacked, full, step), lambda borders: emit(unpacked, borders))
 
-    merged = F.aggregate(edges, full, step)
-    return _ids_of(seg, let(let(merged, emit), lambda x: x), pieces)
+    return _ids_of(seg, let(F.transform(edges, spans), run), pieces)
 
 
 def _viterbi_fold(seg: Column, edges: Column, pieces: Pieces) -> Column:
@@ -237,7 +246,10 @@ def encode_segments(segs: DataFrame, pieces: Pieces, *carried: str, long: bool =
     """
     keys, bpe = ["seg", *carried], pieces.kind == "bpe"
     # Joined by a long hash and compared as text behind it: many times faster than a text key.
-    known = F.broadcast(piece_table(segs.sparkSession, pieces).withColumn("piece_key", F.xxhash64("piece")).withColumnRenamed("piece", "known"))
+    table = piece_table(segs.sparkSession, pieces)
+    if bpe:  # the empty piece lets cells of length 0 pass the join
+        table = table.unionByName(segs.sparkSession.range(1).select(F.lit("").alias("piece"), F.lit(0).alias("piece_id"), F.lit(0).alias("rank"), F.lit(0.0).alias("score")))
+    known = F.broadcast(table.withColumn("piece_key", F.xxhash64("piece")).withColumnRenamed("piece", "known"))
     none, short = F.array().cast("array<int>"), F.length("seg") <= MAX_FOLD
     places = F.sequence(F.lit(0), F.length("seg") - 1)
     starts = segs.select(*keys, F.explode(F.when(short, places).otherwise(F.array(F.lit(0))) if bpe else places).alias("start"))
@@ -253,7 +265,7 @@ def encode_segments(segs: DataFrame, pieces: Pieces, *carried: str, long: bool =
     cells = starts.select(*keys, "start", F.explode(spans).alias("len"))
     cells = cells.withColumn("piece", F.substring(F.col("seg"), F.col("start") + 1, F.col("len")))
     same = (F.xxhash64("piece") == F.col("piece_key")) & (F.col("piece") >= F.col("known")) & (F.col("piece") <= F.col("known"))
-    edges = cells.join(known, same, "left").where("piece_id is not null or len < 2")
+    edges = cells.join(known, same, "inner") if bpe else cells.join(known, same, "left").where("piece_id is not null or len < 2")
     code = F.coalesce(F.col("piece_id"), F.ascii("piece") + F.lit(UNKNOWN))
     if bpe:
         # Single characters take no part in merging; the greatest rank puts them last.
@@ -291,9 +303,60 @@ def split_segments(text: str) -> list[str]:
 
 
 #: Segments that a counting task holds before it hands on its counts.
-COUNTED = 1 << 20
-#: Rows and characters of a slice, at most (a longer text is a slice of its own).
+COUNTED = 1 << 18
+#: Rows and characters that a worker cuts at a time, and those of a slice, at most (or one longer text).
+UNIT_ROWS, UNIT_CHARS = 1024, 1 << 22
 SLICE_ROWS, SLICE_CHARS = 256, 1 << 20
+#: Texts with these take the general pattern, all others plain splitting.
+_UNUSUAL = f"^$|^ |  |{MARK}|[\\x00\\t\\x0b\\f]"
+
+
+def cut_texts(texts: pa.StringArray) -> tuple[pa.StringArray, np.ndarray]:
+    """All segments of the texts in one array, and how many each text has; null texts have none."""
+    texts = pc.fill_null(texts, "")
+    unusual = pc.match_substring_regex(texts, _UNUSUAL)
+    usual = texts.filter(pc.invert(unusual))
+    marked_texts = pc.replace_substring(pc.replace_substring(usual, " ", "\0" + MARK), "\n", "\0\n\0")
+    lists = pc.split_pattern(marked_texts, "\0")
+    lists = lists.combine_chunks() if isinstance(lists, pa.ChunkedArray) else lists
+    flat, counts = lists.flatten(), pc.list_value_length(lists).to_numpy(zero_copy_only=False).astype(np.int64)
+    if len(counts):
+        # The leading mark belongs to the first segment of every text.
+        firsts = np.zeros(len(flat), dtype=bool)
+        firsts[np.cumsum(counts) - counts] = True
+        flat = pc.if_else(pa.array(firsts), pc.binary_join_element_wise(MARK, flat, ""), flat)
+        filled = pc.greater(pc.binary_length(flat), 0)
+        if not pc.all(filled).as_py():
+            keep = filled.to_numpy(zero_copy_only=False)
+            counts = np.add.reduceat(keep.astype(np.int64), np.cumsum(counts) - counts)
+            flat = flat.filter(filled)
+    if not pc.any(unusual).as_py():
+        return flat, counts
+    # Put the texts cut by the pattern back between the others.
+    odd = unusual.to_numpy(zero_copy_only=False)
+    slow = [split_segments(t) for t in texts.filter(unusual).to_pylist()]
+    total = np.zeros(len(texts), dtype=np.int64)
+    total[~odd], total[odd] = counts, [len(x) for x in slow]
+    both = pa.concat_arrays([flat.cast(pa.string()), pa.array([x for part in slow for x in part], pa.string())])
+    begin = np.zeros(len(texts), dtype=np.int64)
+    begin[~odd] = np.cumsum(counts) - counts
+    begin[odd] = len(flat) + np.cumsum(total[odd]) - total[odd]
+    stops = np.cumsum(total)
+    order = np.arange(stops[-1] if len(stops) else 0) + np.repeat(begin - (stops - total), total)
+    return both.take(pa.array(order)), total
+
+
+def _parts(batch: pa.RecordBatch, column: int, rows: int, chars: int):
+    """Consecutive parts of a batch of at most so many rows and characters, or of one row."""
+    lengths = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_pylist()
+    start, held = 0, 0
+    for i, n in enumerate(lengths):
+        if i > start and (i - start >= rows or held + n > chars):
+            yield batch.slice(start, i - start)
+            start, held = i, 0
+        held += n
+    if batch.num_rows > start:
+        yield batch.slice(start)
 
 
 def hot_segments(docs: DataFrame, *, text_col: str, bound: int) -> DataFrame:
@@ -306,11 +369,14 @@ def hot_segments(docs: DataFrame, *, text_col: str, bound: int) -> DataFrame:
     def count(batches):
         seen: Counter = Counter()
         for batch in batches:
-            for t in batch.column(0):
-                seen.update(split_segments(t.as_py()))
+            for unit in _parts(batch, 0, UNIT_ROWS, UNIT_CHARS):
+                found = pc.value_counts(cut_texts(unit.column(0))[0])
+                for seg, n in zip(found.field(0).to_pylist(), found.field(1).to_pylist(), strict=True):
+                    seen[seg] += n
                 if len(seen) > COUNTED:
                     yield _counts(seen)
                     seen.clear()
+                pa.default_memory_pool().release_unused()
         yield _counts(seen)
 
     local = docs.select(F.col(text_col).alias("text")).mapInArrow(count, "seg string, n long")
@@ -332,14 +398,13 @@ def _counts(seen: Counter) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array([s for s, _ in pairs], pa.string()), pa.array([n for _, n in pairs], pa.int64())], names=["seg", "n"])
 
 
-def dictionary(encoded: pa.Table) -> tuple[dict[str, int], np.ndarray, np.ndarray]:
-    """Numbers by segment, most used first; the ids of all segments in one array; where each begins."""
-    encoded = encoded.sort_by([("n", "descending"), ("seg", "ascending")])
-    lists = encoded.column("ids").combine_chunks()
-    lists = lists.combine_chunks() if isinstance(lists, pa.ChunkedArray) else lists
-    lengths = lists.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
-    number = {s: k for k, s in enumerate(encoded.column("seg").to_pylist())}
-    return number, lists.flatten().to_numpy().astype(np.int32), np.concatenate([[0], np.cumsum(lengths)]).astype(np.int64)
+def dictionary(encoded: pa.Table) -> tuple[pa.StringArray, np.ndarray, np.ndarray]:
+    """Segments, most used first; the ids of all segments in one array; where each begins."""
+    encoded = encoded.sort_by([("n", "descending"), ("seg", "ascending")]).combine_chunks()
+    flat_of = lambda c: c.combine_chunks() if isinstance(c, pa.ChunkedArray) else c
+    segs, lists = flat_of(encoded.column("seg")), flat_of(encoded.column("ids"))
+    lengths = pc.list_value_length(lists).to_numpy(zero_copy_only=False).astype(np.int64)
+    return segs.cast(pa.string()), lists.flatten().to_numpy().astype(np.int32), np.concatenate([[0], np.cumsum(lengths)]).astype(np.int64)
 
 
 def _pack(arrays: list[np.ndarray]) -> bytes:
@@ -370,19 +435,6 @@ def decode_ids(ids, pieces: Pieces) -> str:
     return (data[1:] if data[:1] == b" " else data).decode("utf-8", "replace")
 
 
-def _slices(batch: pa.RecordBatch):
-    """Parts of a batch of at most SLICE_ROWS rows and SLICE_CHARS characters, or one row."""
-    lengths = pa.compute.fill_null(pa.compute.binary_length(batch.column(2)), 0).to_pylist()
-    start, held = 0, 0
-    for i, n in enumerate(lengths):
-        if i > start and (i - start >= SLICE_ROWS or held + n > SLICE_CHARS):
-            yield batch.slice(start, i - start)
-            start, held = i, 0
-        held += n
-    if batch.num_rows > start:
-        yield batch.slice(start)
-
-
 def encode(docs: DataFrame, pieces: Pieces, *, id_col: str = "doc_id", text_col: str = "text", hot: int = HOT_SEGMENTS) -> DataFrame:
     """One row per row of ``docs``: doc_id, n_tokens, ids, exact, and the row's uid.
 
@@ -392,6 +444,7 @@ def encode(docs: DataFrame, pieces: Pieces, *, id_col: str = "doc_id", text_col:
     encoded each; an empty table gives an empty result; extra columns are ignored.
     """
     spark = docs.sparkSession
+    text_batches(spark)
     bound = encode_segments(hot_segments(docs, text_col=text_col, bound=hot), pieces, "n").toArrow()  # ``hot`` rows at most
     held = spark.sparkContext.broadcast(dictionary(bound))
     del bound
@@ -401,30 +454,35 @@ def encode(docs: DataFrame, pieces: Pieces, *, id_col: str = "doc_id", text_col:
     widths = np.array([len(x) for x in pieces.raw], dtype=np.int32)
 
     def rewrite(batches):
-        get = held.value[0].get
+        known = held.value[0]
         for batch in batches:
-            for part in _slices(batch):
-                cut, numbers = [split_segments(t.as_py() or "") for t in part.column(2)], []
-                for found in cut:
-                    numbers.append(np.fromiter(map(get, found, repeat(-1)), dtype=np.int32, count=len(found)))
-                missing = [np.flatnonzero(a < 0) for a in numbers]
-                rare = {found[i] for found, at in zip(cut, missing, strict=True) for i in at}
-                # Rare segments are numbered from -1 down: short ones in order, then long ones and the
-                # characters that stand alone, which are encoded here (and so can part the others).
-                here = sorted(x for x in rare if len(x) > MAX_FOLD or x in "\t\n\x0b\f")
-                short = sorted(rare.difference(here))
-                order = {x: -1 - k for k, x in enumerate(short + here)}
-                for a, found, at in zip(numbers, cut, missing, strict=True):
-                    a[at] = [order[found[i]] for i in at]
-                texts = part.column(2).to_pylist()
-                sizes = [-1 if t and MARK in t else len((t or "").encode("utf-8", "surrogatepass")) for t in texts]
-                inline = [np.array(merge_long(x, pieces, ranks), dtype=np.int32) for x in here]
-                code = _pack([np.array(sizes, dtype=np.int32), *numbers, *inline])
-                uids = part.column(0)
-                yield pa.RecordBatch.from_arrays(
-                    [uids.slice(0, 1), pa.array([uids.to_pylist()], pa.list_(pa.int64())), pa.ListArray.from_arrays(pa.array([0, len(uids)], pa.int32()), part.column(1)), pa.array([code], pa.binary()), pa.array(["\n".join(short)], pa.string())],
-                    names=["slice", "uids", "doc_ids", "code", "rare"],
-                )
+            for unit in _parts(batch, 2, UNIT_ROWS, UNIT_CHARS):
+                segs, counts = cut_texts(unit.column(2))
+                numbers = pc.fill_null(pc.index_in(segs, value_set=known), -1).to_numpy().astype(np.int32)
+                stops = np.cumsum(counts)
+                at = 0
+                for part in _parts(unit, 2, SLICE_ROWS, SLICE_CHARS):
+                    first, last = (stops[at - 1] if at else 0), (stops[at + part.num_rows - 1] if len(stops) else 0)
+                    mine, sizes = numbers[first:last].copy(), counts[at : at + part.num_rows]
+                    at += part.num_rows
+                    missing = np.flatnonzero(mine < 0)
+                    found = segs.take(pa.array(first + missing)).to_pylist()
+                    rare = set(found)
+                    # Rare segments are numbered from -1 down: short ones in order, then long ones and the
+                    # characters that stand alone, which are encoded here (and so can part the others).
+                    here = sorted(x for x in rare if len(x) > MAX_FOLD or x in "\t\n\x0b\f")
+                    short = sorted(rare.difference(here))
+                    order = {x: -1 - k for k, x in enumerate(short + here)}
+                    mine[missing] = [order[x] for x in found]
+                    texts = part.column(2)
+                    has_mark = pc.fill_null(pc.match_substring(texts, MARK), False).to_numpy(zero_copy_only=False)
+                    octets = np.where(has_mark, -1, pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False))
+                    inline = [np.array(merge_long(x, pieces, ranks), dtype=np.int32) for x in here]
+                    code, uids = _pack([octets, sizes, mine, *inline]), part.column(0)
+                    yield pa.RecordBatch.from_arrays(
+                        [uids.slice(0, 1), pa.array([uids.to_pylist()], pa.list_(pa.int64())), pa.ListArray.from_arrays(pa.array([0, len(uids)], pa.int32()), part.column(1)), pa.array([code], pa.binary()), pa.array(["\n".join(short)], pa.string())],
+                        names=["slice", "uids", "doc_ids", "code", "rare"],
+                    )
 
     slices = rows.mapInArrow(rewrite, f"slice long, uids array<bigint>, doc_ids array<{kind}>, code binary, rare string").repartition("slice")
     # This filter keeps all rows. It reads every column and cannot be pushed down, so that both uses
@@ -438,22 +496,20 @@ def encode(docs: DataFrame, pieces: Pieces, *, id_col: str = "doc_id", text_col:
         _, flat, begin = held.value
         for batch in batches:
             for uids, doc_ids, code, rare_ids in zip(batch.column(1), batch.column(2), batch.column(3), batch.column(5), strict=True):
-                n, arrays = len(uids), _unpack(code.as_py())
-                sizes, numbers, inline = arrays[0], arrays[1 : n + 1], arrays[n + 1 :]
+                n, (octets, sizes, at, *inline) = len(uids), _unpack(code.as_py())
                 own, lengths = [], []
                 if rare_ids.values is not None and len(rare_ids.values):
                     own, lengths = [rare_ids.values.flatten().to_numpy()], rare_ids.values.value_lengths().to_numpy(zero_copy_only=False).tolist()
                 own, lengths = own + inline, lengths + [len(x) for x in inline]
                 own_flat = np.concatenate(own) if own else np.array([], dtype=np.int32)
                 own_begin = np.concatenate([[0], np.cumsum(lengths)]).astype(np.int64)
-                at = np.concatenate(numbers) if n else np.array([], dtype=np.int32)
                 ids, per_segment = _two_sources(flat, begin, own_flat, own_begin, at)
-                owner = np.repeat(np.arange(n), [len(a) for a in numbers])
+                owner = np.repeat(np.arange(n), sizes)
                 counts = np.bincount(owner, per_segment, n).astype(np.int64)
                 stops = np.cumsum(counts)
                 spelled = np.concatenate([[0], np.cumsum(widths[ids])])
                 total = spelled[stops] - spelled[stops - counts]
-                exact = (sizes >= 0) & (total == np.where(sizes > 0, sizes + 1, 0))
+                exact = (octets >= 0) & (total == np.where(octets > 0, octets + 1, 0))
                 yield pa.RecordBatch.from_arrays(
                     [uids.values, doc_ids.values, pa.array(counts), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], stops]).astype(np.int32)), pa.array(ids)), pa.array(exact)],
                     names=[ROW_UID, "doc_id", "n_tokens", "ids", "exact"],

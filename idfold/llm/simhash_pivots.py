@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from idfold.llm.common import ROW_UID, settle, table, with_row_uid
+from idfold.llm.common import ROW_UID, settle, table, text_batches, with_row_uid
 from idfold.llm.components import components
 
 SHINGLE = 3
@@ -62,6 +62,7 @@ def fingerprints(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
     """(row uid, doc_id, fp): one row per row of ``docs``; the fingerprint as a signed long."""
     chosen = with_row_uid(docs).select(ROW_UID, F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     kind = chosen.schema["doc_id"].dataType.simpleString()
+    text_batches(docs.sparkSession)
 
     def run(batches):
         for batch in batches:

@@ -21,7 +21,6 @@ from __future__ import annotations
 
 import heapq
 import re
-from collections import Counter
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -244,7 +243,8 @@ def encode_segments(segs: DataFrame, pieces: Pieces, *carried: str, long: bool =
     An exchange by any of the columns serves the grouping of edges too: nothing between moves a row.
     ``long=False`` is for callers that have no segments over MAX_FOLD (they would get none).
     """
-    keys, bpe = ["seg", *carried], pieces.kind == "bpe"
+    # Carried numbers come first: where the grouping sorts, they part rows faster than texts do.
+    keys, bpe = [*carried, "seg"], pieces.kind == "bpe"
     # Joined by a long hash and compared as text behind it: many times faster than a text key.
     table = piece_table(segs.sparkSession, pieces)
     if bpe:  # the empty piece lets cells of length 0 pass the join
@@ -302,8 +302,8 @@ def split_segments(text: str) -> list[str]:
     return [p for p in parts if p] if "" in parts else parts
 
 
-#: Segments that a counting task holds before it hands on its counts.
-COUNTED = 1 << 18
+#: Counts that a counting task holds before it sums them, and hands them on if half as many are left.
+COUNTED = 1 << 21
 #: Rows and characters that a worker cuts at a time, and those of a slice, at most (or one longer text).
 UNIT_ROWS, UNIT_CHARS = 1024, 1 << 22
 SLICE_ROWS, SLICE_CHARS = 256, 1 << 20
@@ -367,17 +367,17 @@ def hot_segments(docs: DataFrame, *, text_col: str, bound: int) -> DataFrame:
     """
 
     def count(batches):
-        seen: Counter = Counter()
+        held: list[pa.Table] = []
         for batch in batches:
             for unit in _parts(batch, 0, UNIT_ROWS, UNIT_CHARS):
                 found = pc.value_counts(cut_texts(unit.column(0))[0])
-                for seg, n in zip(found.field(0).to_pylist(), found.field(1).to_pylist(), strict=True):
-                    seen[seg] += n
-                if len(seen) > COUNTED:
-                    yield _counts(seen)
-                    seen.clear()
-                pa.default_memory_pool().release_unused()
-        yield _counts(seen)
+                held.append(pa.table({"seg": found.field(0), "n": found.field(1)}))
+                if sum(t.num_rows for t in held) > COUNTED:
+                    held = [_summed(held)]
+                    if held[0].num_rows > COUNTED // 2:
+                        yield from _repeated(held.pop())
+        if held:
+            yield from _repeated(_summed(held))
 
     local = docs.select(F.col(text_col).alias("text")).mapInArrow(count, "seg string, n long")
     counts = settle(local.groupBy("seg").agg(F.sum("n").alias("n")))
@@ -393,9 +393,12 @@ def hot_segments(docs: DataFrame, *, text_col: str, bound: int) -> DataFrame:
     return counts.where(level >= lowest if lowest is not None else F.lit(False)).repartition("seg")
 
 
-def _counts(seen: Counter) -> pa.RecordBatch:
-    pairs = [(s, n) for s, n in seen.items() if n > 1]
-    return pa.RecordBatch.from_arrays([pa.array([s for s, _ in pairs], pa.string()), pa.array([n for _, n in pairs], pa.int64())], names=["seg", "n"])
+def _summed(tables: list[pa.Table]) -> pa.Table:
+    return pa.concat_tables(tables).group_by("seg").aggregate([("n", "sum")]).rename_columns({"n_sum": "n"}).select(["seg", "n"])
+
+
+def _repeated(counts: pa.Table):
+    yield from counts.filter(pc.greater(counts.column("n"), 1)).to_batches(max_chunksize=1 << 16)
 
 
 def dictionary(encoded: pa.Table) -> tuple[pa.StringArray, np.ndarray, np.ndarray]:
@@ -448,6 +451,7 @@ def encode(docs: DataFrame, pieces: Pieces, *, id_col: str = "doc_id", text_col:
     bound = encode_segments(hot_segments(docs, text_col=text_col, bound=hot), pieces, "n").toArrow()  # ``hot`` rows at most
     held = spark.sparkContext.broadcast(dictionary(bound))
     del bound
+    pa.default_memory_pool().release_unused()
     rows = with_row_uid(docs).select(ROW_UID, F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     kind = rows.schema["doc_id"].dataType.simpleString()
     ranks = pieces.ranks()
@@ -488,9 +492,9 @@ def encode(docs: DataFrame, pieces: Pieces, *, id_col: str = "doc_id", text_col:
     # This filter keeps all rows. It reads every column and cannot be pushed down, so that both uses
     # of the slices need the same columns and share one exchange; texts are rewritten once.
     whole = F.coalesce(F.length("code"), F.size("uids"), F.size("doc_ids"), F.lit(0)) + F.rand() >= 0
-    rare = slices.where(whole).select("slice", "rare").where("rare != ''").select("slice", F.explode(F.split("rare", "\n")).alias("seg"))
-    encoded = encode_segments(rare, pieces, "slice", long=False)
-    per_slice = encoded.groupBy("slice").agg(F.transform(F.array_sort(F.collect_list(F.struct("seg", "ids"))), lambda x: x["ids"]).alias("rare_ids"))
+    rare = slices.where(whole).select("slice", "rare").where("rare != ''").select("slice", F.posexplode(F.split("rare", "\n")).alias("k", "seg"))
+    encoded = encode_segments(rare, pieces, "k", "slice", long=False)
+    per_slice = encoded.groupBy("slice").agg(F.transform(F.sort_array(F.collect_list(F.struct("k", "ids"))), lambda x: x["ids"]).alias("rare_ids"))
 
     def assemble(batches):
         _, flat, begin = held.value

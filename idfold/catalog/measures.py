@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from idfold.catalog.core import params_for, table_teacher, word_chain, word_map
+from idfold.catalog.core import params_for, table_teacher, word_chain
 from idfold.catalog.registry import CHAIN_SQL, ORDERS_SQL, USES_SQL, VOCAB_SQL, query
 from idfold.functions.hashing import universal_sql
 from idfold.functions.vectors import quantize
@@ -292,7 +292,3 @@ def purity_learned_vs_hashing(spark, sf_dir):
         one = metrics.purity(settle(m), late).withColumn("method", F.lit(name))
         out = one if out is None else out.unionByName(one)
     return out
-
-
-def learned_words(spark, sf_dir):
-    return word_map(spark, sf_dir)[0]

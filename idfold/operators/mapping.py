@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from idfold.functions.hashing import universal
-from idfold.functions.vectors import add, bits_needed
+from idfold.functions.vectors import bits_needed
 
 #: Maps up to this many bytes (16 per entry) are broadcast to lookups; larger ones are shuffled.
 BROADCAST_BYTES = 200 << 20
@@ -119,7 +119,3 @@ def relevance(fold_map: DataFrame, new_counts: DataFrame) -> DataFrame:
     return joined.groupBy("feature").agg(
         F.sum("accesses").alias("uses"), F.sum(F.when(F.col("known") == 1, F.col("accesses")).otherwise(0)).alias("known_uses")
     ).withColumn("unseen_share", F.round(1 - F.col("known_uses") / F.col("uses"), 6))
-
-
-def vector_sum(x: Column, y: Column) -> Column:
-    return add(x, y)

@@ -10,6 +10,7 @@ shape is trained on a bounded sample of soft-labelled texts and scores every tex
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -176,11 +177,12 @@ def fit(docs: DataFrame, *, text_col: str = "text", train_texts: int = TRAIN_TEX
         .agg(F.count("*").alias("n"))
         .toArrow()
     )
-    number = {uid: k for k, uid in enumerate(sorted(soft))}
-    rows = np.array([number[u] for u in counted.column(ROW_UID).to_pylist()], dtype=np.int64)
+    rows = np.searchsorted(np.array(sorted(soft), dtype=np.int64), counted.column(ROW_UID).to_numpy())
     slot = counted.column("slot").to_numpy().astype(np.int64)
     length = np.maximum(counted.column("n_words").to_numpy(), 1)
     values = np.where(slot < SLOTS - SHAPES, counted.column("n").to_numpy() / length, 1.0)
+    del counted
+    pa.default_memory_pool().release_unused()
     return train_scorer(rows, slot, values, np.array([soft[u] for u in sorted(soft)]))
 
 

@@ -260,8 +260,8 @@ def encode_segments(segs: DataFrame, pieces: Pieces, *carried: str, long: bool =
         # A cell of length 0 keeps segments without edges, long ones among them; single characters
         # that the constant of the fold does not hold are looked up like longer pieces.
         far = F.ascii(F.substring(F.col("seg"), F.col("start") + 1, F.lit(1))) >= NEAR
-        spans = F.when(short, F.concat(F.when(far, F.array(F.lit(1))).otherwise(none), spans)).otherwise(none)
-        spans = F.concat(F.when(F.col("start") == 0, F.array(F.lit(0))).otherwise(none), spans)
+        extra = F.concat(F.when(F.col("start") == 0, F.array(F.lit(0))).otherwise(none), F.when(far & short, F.array(F.lit(1))).otherwise(none))
+        spans = F.when((F.col("start") > 0) & ~far, spans).otherwise(F.concat(extra, F.when(short, spans).otherwise(none)))
     cells = starts.select(*keys, "start", F.explode(spans).alias("len"))
     cells = cells.withColumn("piece", F.substring(F.col("seg"), F.col("start") + 1, F.col("len")))
     same = (F.xxhash64("piece") == F.col("piece_key")) & (F.col("piece") >= F.col("known")) & (F.col("piece") <= F.col("known"))
@@ -302,8 +302,8 @@ def split_segments(text: str) -> list[str]:
     return [p for p in parts if p] if "" in parts else parts
 
 
-#: Counts that a counting task holds before it sums them, and hands them on if half as many are left.
-COUNTED = 1 << 21
+#: Counts that a counting task holds before it sums them, and hands them on if three quarters are left.
+COUNTED = 1 << 19
 #: Rows and characters that a worker cuts at a time, and those of a slice, at most (or one longer text).
 UNIT_ROWS, UNIT_CHARS = 1024, 1 << 22
 SLICE_ROWS, SLICE_CHARS = 256, 1 << 20
@@ -346,6 +346,22 @@ def cut_texts(texts: pa.StringArray) -> tuple[pa.StringArray, np.ndarray]:
     return both.take(pa.array(order)), total
 
 
+def _units(batches, column: int):
+    """Batches joined and cut anew to units of at most UNIT_ROWS rows and UNIT_CHARS characters."""
+    held: list[pa.RecordBatch] = []
+    for batch in batches:
+        held.append(batch)
+        if sum(b.num_rows for b in held) >= UNIT_ROWS or sum(b.column(column).nbytes for b in held) >= UNIT_CHARS:
+            yield from _parts(_joined(held), column, UNIT_ROWS, UNIT_CHARS)
+            held = []
+    if held:
+        yield from _parts(_joined(held), column, UNIT_ROWS, UNIT_CHARS)
+
+
+def _joined(batches: list[pa.RecordBatch]) -> pa.RecordBatch:
+    return batches[0] if len(batches) == 1 else pa.Table.from_batches(batches).combine_chunks().to_batches()[0]
+
+
 def _parts(batch: pa.RecordBatch, column: int, rows: int, chars: int):
     """Consecutive parts of a batch of at most so many rows and characters, or of one row."""
     lengths = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_pylist()
@@ -368,14 +384,13 @@ def hot_segments(docs: DataFrame, *, text_col: str, bound: int) -> DataFrame:
 
     def count(batches):
         held: list[pa.Table] = []
-        for batch in batches:
-            for unit in _parts(batch, 0, UNIT_ROWS, UNIT_CHARS):
-                found = pc.value_counts(cut_texts(unit.column(0))[0])
-                held.append(pa.table({"seg": found.field(0), "n": found.field(1)}))
-                if sum(t.num_rows for t in held) > COUNTED:
-                    held = [_summed(held)]
-                    if held[0].num_rows > COUNTED // 2:
-                        yield from _repeated(held.pop())
+        for unit in _units(batches, 0):
+            found = pc.value_counts(cut_texts(unit.column(0))[0])
+            held.append(pa.table({"seg": found.field(0), "n": found.field(1)}))
+            if sum(t.num_rows for t in held) > COUNTED:
+                held = [_summed(held)]
+                if held[0].num_rows > 3 * COUNTED // 4:
+                    yield from _repeated(held.pop())
         if held:
             yield from _repeated(_summed(held))
 
@@ -459,34 +474,33 @@ def encode(docs: DataFrame, pieces: Pieces, *, id_col: str = "doc_id", text_col:
 
     def rewrite(batches):
         known = held.value[0]
-        for batch in batches:
-            for unit in _parts(batch, 2, UNIT_ROWS, UNIT_CHARS):
-                segs, counts = cut_texts(unit.column(2))
-                numbers = pc.fill_null(pc.index_in(segs, value_set=known), -1).to_numpy().astype(np.int32)
-                stops = np.cumsum(counts)
-                at = 0
-                for part in _parts(unit, 2, SLICE_ROWS, SLICE_CHARS):
-                    first, last = (stops[at - 1] if at else 0), (stops[at + part.num_rows - 1] if len(stops) else 0)
-                    mine, sizes = numbers[first:last].copy(), counts[at : at + part.num_rows]
-                    at += part.num_rows
-                    missing = np.flatnonzero(mine < 0)
-                    found = segs.take(pa.array(first + missing)).to_pylist()
-                    rare = set(found)
-                    # Rare segments are numbered from -1 down: short ones in order, then long ones and the
-                    # characters that stand alone, which are encoded here (and so can part the others).
-                    here = sorted(x for x in rare if len(x) > MAX_FOLD or x in "\t\n\x0b\f")
-                    short = sorted(rare.difference(here))
-                    order = {x: -1 - k for k, x in enumerate(short + here)}
-                    mine[missing] = [order[x] for x in found]
-                    texts = part.column(2)
-                    has_mark = pc.fill_null(pc.match_substring(texts, MARK), False).to_numpy(zero_copy_only=False)
-                    octets = np.where(has_mark, -1, pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False))
-                    inline = [np.array(merge_long(x, pieces, ranks), dtype=np.int32) for x in here]
-                    code, uids = _pack([octets, sizes, mine, *inline]), part.column(0)
-                    yield pa.RecordBatch.from_arrays(
-                        [uids.slice(0, 1), pa.array([uids.to_pylist()], pa.list_(pa.int64())), pa.ListArray.from_arrays(pa.array([0, len(uids)], pa.int32()), part.column(1)), pa.array([code], pa.binary()), pa.array(["\n".join(short)], pa.string())],
-                        names=["slice", "uids", "doc_ids", "code", "rare"],
-                    )
+        for unit in _units(batches, 2):
+            segs, counts = cut_texts(unit.column(2))
+            numbers = pc.fill_null(pc.index_in(segs, value_set=known), -1).to_numpy().astype(np.int32)
+            stops = np.cumsum(counts)
+            at = 0
+            for part in _parts(unit, 2, SLICE_ROWS, SLICE_CHARS):
+                first, last = (stops[at - 1] if at else 0), (stops[at + part.num_rows - 1] if len(stops) else 0)
+                mine, sizes = numbers[first:last].copy(), counts[at : at + part.num_rows]
+                at += part.num_rows
+                missing = np.flatnonzero(mine < 0)
+                found = segs.take(pa.array(first + missing)).to_pylist()
+                rare = set(found)
+                # Rare segments are numbered from -1 down: short ones in order, then long ones and the
+                # characters that stand alone, which are encoded here (and so can part the others).
+                here = sorted(x for x in rare if len(x) > MAX_FOLD or x in "\t\n\x0b\f")
+                short = sorted(rare.difference(here))
+                order = {x: -1 - k for k, x in enumerate(short + here)}
+                mine[missing] = [order[x] for x in found]
+                texts = part.column(2)
+                has_mark = pc.fill_null(pc.match_substring(texts, MARK), False).to_numpy(zero_copy_only=False)
+                octets = np.where(has_mark, -1, pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False))
+                inline = [np.array(merge_long(x, pieces, ranks), dtype=np.int32) for x in here]
+                code, uids = _pack([octets, sizes, mine, *inline]), part.column(0)
+                yield pa.RecordBatch.from_arrays(
+                    [uids.slice(0, 1), pa.array([uids.to_pylist()], pa.list_(pa.int64())), pa.ListArray.from_arrays(pa.array([0, len(uids)], pa.int32()), part.column(1)), pa.array([code], pa.binary()), pa.array(["\n".join(short)], pa.string())],
+                    names=["slice", "uids", "doc_ids", "code", "rare"],
+                )
 
     slices = rows.mapInArrow(rewrite, f"slice long, uids array<bigint>, doc_ids array<{kind}>, code binary, rare string").repartition("slice")
     # This filter keeps all rows. It reads every column and cannot be pushed down, so that both uses

@@ -4,10 +4,15 @@ Documents are counted into cells of (source, language, topic). Raking scales the
 the cells to the target shares of each margin in turn. The ratio of a cell's raked weight to its
 tokens, scaled to a token budget and capped at one, is the probability with which its documents are
 drawn; the draw is a hash of the doc_id, so it is the same on every run and every cluster.
+
+Capping after raking misses the targets. The bounded form rakes under the bound instead: no weight
+exceeds the cell's tokens, and targets beyond what a margin value holds at the budget are lowered to
+it, the rest of the margin rising in proportion. ``margins`` reports both and the shares expected.
 """
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -20,6 +25,9 @@ ROUNDS = 8
 #: Share of all tokens that the sample should hold.
 BUDGET = 0.8
 SCALE_STEPS = 8
+#: Bounded raking ends when no share is further off than this, or after so many rounds.
+TOLERANCE = 1e-6
+BOUNDED_ROUNDS = 2000
 #: Cell tables up to this many rows are broadcast to the documents; larger ones are joined by shuffle.
 BROADCAST_CELLS = 100_000
 #: Probabilities are rounded to this many decimals, so that the order of sums cannot show.
@@ -107,6 +115,68 @@ def chances_of(rows: DataFrame, *, targets: dict[str, DataFrame] | None, budget:
     return settle(probabilities(rake(cells, wanted, rounds=rounds), budget=budget).select(*MARGINS, "probability"))
 
 
+def feasible(share: np.ndarray, most: np.ndarray) -> np.ndarray:
+    """The shares, none above ``most``; what is cut goes to the others in proportion."""
+    capped = np.zeros(len(share), dtype=bool)
+    while True:
+        free = share[~capped].sum()
+        out = np.where(capped, most, share * (max(0.0, 1 - most[capped].sum()) / free if free else 0.0))
+        over = ~capped & (out > most)
+        if not over.any():
+            return out
+        capped |= over
+
+
+def bounded(cells: DataFrame, targets: dict[str, DataFrame], *, budget: float = BUDGET):
+    """(cells, margins) as pandas frames, raked so that no weight exceeds the cell's tokens.
+
+    Weights sum to ``budget`` times all tokens, where the targets leave room for that. The cell
+    table (one row per source, language and topic, no documents) is raked on the driver.
+    """
+    import pandas as pd
+
+    found = cells.toPandas().sort_values(list(MARGINS), ignore_index=True)
+    tokens = found["tokens"].to_numpy(dtype=float)
+    weight, want = tokens * budget, budget * tokens.sum()
+    goals, reports = [], []
+    for m in MARGINS:
+        codes, values = pd.factorize(found[m])
+        known = {r[m]: r["share"] for r in targets[m].collect()}
+        share = np.array([known.get(v, 0.0) for v in values], dtype=float)
+        held = np.bincount(codes, tokens, len(values))
+        share = np.where(held > 0, share, 0.0)
+        share = share / share.sum() if share.sum() else share
+        goal = feasible(share, held / want) if want else share
+        goals.append((codes, goal))
+        reports.append(pd.DataFrame({"margin": m, "value": values, "target": share, "feasible": goal}))
+    for _ in range(BOUNDED_ROUNDS if want else 0):
+        off = 0.0
+        for codes, goal in goals:
+            sums = np.bincount(codes, weight, len(goal))
+            off = max(off, np.abs(sums / want - goal).max())
+            factor = np.divide(goal * want, sums, out=np.zeros(len(goal)), where=sums > 0)
+            weight = np.minimum(tokens, weight * factor[codes])
+        if off < TOLERANCE:
+            break
+    found["weight"] = weight
+    found["probability"] = np.round(np.divide(weight, tokens, out=np.full(len(tokens), float(budget)), where=tokens > 0), DECIMALS)
+    for (codes, goal), report in zip(goals, reports, strict=True):
+        report["expected"] = np.bincount(codes, weight, len(goal)) / weight.sum() if want else goal
+        report["residual"] = report["expected"] - report["target"]
+    return found, pd.concat(reports, ignore_index=True)
+
+
+def _bounded_of(rows: DataFrame, targets: dict[str, DataFrame] | None, budget: float):
+    cells = settle(rows.groupBy(*MARGINS).agg(F.sum("n_tokens").alias("tokens")))
+    return bounded(cells, {m: (targets or {}).get(m) or default_targets(cells, m) for m in MARGINS}, budget=budget)
+
+
+def margins(docs: DataFrame, *, targets: dict[str, DataFrame] | None = None, budget: float = BUDGET, **columns: str) -> DataFrame:
+    """margin, value, target, feasible (target under the bound), expected and residual share of the bounded form."""
+    report = _bounded_of(counted(docs, **columns), targets, budget)[1]
+    return docs.sparkSession.createDataFrame(report.values.tolist(), "margin string, value string, target double, feasible double, expected double, residual double")
+
+
 def is_small(chances: DataFrame) -> bool:
     return chances.limit(BROADCAST_CELLS + 1).count() <= BROADCAST_CELLS
 
@@ -128,13 +198,18 @@ def mix(docs: DataFrame, *, targets: dict[str, DataFrame] | None = None, budget:
     return joined.select("doc_id", *MARGINS, "n_tokens", "probability", (_draw(F.col("doc_id")) < F.col("probability")).alias("kept"))
 
 
-def sample(docs: DataFrame, *, targets: dict[str, DataFrame] | None = None, budget: float = BUDGET, rounds: int = ROUNDS, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", lang_col: str = "lang") -> DataFrame:
-    """The drawn rows of ``docs`` with all their columns.
+def sample(docs: DataFrame, *, targets: dict[str, DataFrame] | None = None, budget: float = BUDGET, rounds: int = ROUNDS, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", lang_col: str = "lang", under_bound: bool = False) -> DataFrame:
+    """The drawn rows of ``docs`` with all their columns; ``under_bound`` draws by the bounded form.
 
     A row's cell follows from the row itself, so texts are not moved: the probabilities come to them.
     """
     columns = {"id_col": id_col, "text_col": text_col, "source_col": source_col, "lang_col": lang_col}
-    chances = chances_of(counted(docs, **columns), targets=targets, budget=budget, rounds=rounds)
+    if under_bound:
+        cells = _bounded_of(counted(docs, **columns), targets, budget)[0]
+        rows = cells[[*MARGINS, "probability"]].values.tolist()
+        chances = settle(docs.sparkSession.createDataFrame(rows, "source string, lang string, topic string, probability double"))
+    else:
+        chances = chances_of(counted(docs, **columns), targets=targets, budget=budget, rounds=rounds)
     cell = {
         "__source": F.coalesce(F.col(source_col).cast("string"), F.lit("")),
         "__lang": F.coalesce(F.col(lang_col).cast("string"), F.lit("")),

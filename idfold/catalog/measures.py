@@ -95,6 +95,13 @@ def base_cooccurrence(spark, sf_dir):
     return baselines.cooccurrence(uses)
 
 
+@query("base_cooccurrence_ids")
+def base_cooccurrence_ids(spark, sf_dir):
+    """Pairs of the part ids themselves, which ``base_cooccurrence`` takes modulo 200 as its SQL does."""
+    uses = table(spark, sf_dir, "lineitem").select(F.col("l_orderkey").alias("sample_id"), F.col("l_partkey").alias("id"))
+    return baselines.cooccurrence(uses)
+
+
 # ---- measures -----------------------------------------------------------------------------------
 
 _PLANTED_SCORE = "((part * 37) % 97 - 48 + (customer * 53) % 97 - 48)"

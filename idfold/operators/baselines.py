@@ -82,17 +82,16 @@ def quantile_access(teacher: DataFrame, rows: int) -> DataFrame:
     return _map(teacher, F.least(F.floor(before * rows / total), F.lit(rows - 1)))
 
 
-def cooccurrence(uses: DataFrame, *, min_support: int = 3, max_bag: int = 64) -> DataFrame:
-    """(a, b, together, pmi): ids used in one sample, a < b.
+def cooccurrence(uses: DataFrame, *, min_support: int = 3) -> DataFrame:
+    """(a, b, together, pmi): ids used in one sample, a < b; all samples count, whatever their size.
 
-    Work grows with the square of the bag, so bags over ``max_bag`` distinct ids are left out: the
-    combinatorial cost for which this alternative was rejected.
+    Work grows with the square of the bag: the combinatorial cost for which this alternative was
+    rejected. Ids in fewer than ``min_support`` samples form no pairs, as none of theirs can reach it.
     """
-    bags = uses.select("sample_id", "id").distinct()
-    sizes = bags.groupBy("sample_id").agg(F.count("*").alias("k")).where(F.col("k") <= max_bag)
-    bags = bags.join(sizes.select("sample_id"), "sample_id")
-    singles = bags.groupBy("id").agg(F.count("*").alias("n"))
-    total = bags.agg(F.count_distinct("sample_id").alias("s"))
+    every = uses.select("sample_id", "id").distinct()
+    singles = every.groupBy("id").agg(F.count("*").alias("n"))
+    bags = every.join(singles.where(F.col("n") >= min_support).select("id"), "id", "left_semi")
+    total = every.agg(F.count_distinct("sample_id").alias("s"))
     x, y = bags.select("sample_id", F.col("id").alias("a")), bags.select("sample_id", F.col("id").alias("b"))
     pairs = x.join(y, "sample_id").where("a < b").groupBy("a", "b").agg(F.count("*").alias("together")).where(F.col("together") >= min_support)
     return (

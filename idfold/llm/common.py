@@ -22,13 +22,17 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where none is configured."""
+    """The folder that driver and executors share: spark.checkpoint.dir, which must be set."""
     context = spark.sparkContext
     current = context._jsc.sc().getCheckpointDir()
     if current.isDefined():
         return current.get()
     configured = spark.conf.get("spark.checkpoint.dir", None)
-    context.setCheckpointDir(configured or tempfile.mkdtemp(prefix="idfold-checkpoints-"))
+    if not configured:
+        if context.master != "local" and not context.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        configured = tempfile.mkdtemp(prefix="idfold-checkpoints-")  # one process is driver and executor
+    context.setCheckpointDir(configured)
     return context._jsc.sc().getCheckpointDir().get()
 
 
@@ -49,7 +53,11 @@ TEXT_BATCH_ROWS = 1024
 
 
 def text_batches(spark: SparkSession) -> None:
-    """Lower the rows per Arrow batch of the session for stages that hand whole texts to workers."""
+    """Lower the rows per Arrow batch of the session for stages that hand whole texts to workers.
+
+    The setting is read when a query runs, not when it is built, so it stays lowered; callers that
+    want another value set it again.
+    """
     key = "spark.sql.execution.arrow.maxRecordsPerBatch"
     if not 0 < int(spark.conf.get(key, "10000")) <= TEXT_BATCH_ROWS:
         spark.conf.set(key, str(TEXT_BATCH_ROWS))
@@ -66,13 +74,56 @@ def words_of(text: Column) -> Column:
     return F.when(trimmed == "", F.array().cast("array<string>")).otherwise(F.split(trimmed, SPACE_PATTERN))
 
 
+#: Bits of a row number that hold the row's place in its file; the others number the files.
+ROW_BITS = 40
+_NARROW = ("Project", "Filter", "SubqueryAlias")
+
+
+def as_scan(df: DataFrame) -> DataFrame:
+    """``df`` if its rows are rows of one file scan, at most narrowed; otherwise a scan of it, written out."""
+    node = df._jdf.queryExecution().analyzed()
+    while node.nodeName() in _NARROW:
+        node = node.children().head()
+    return df if node.nodeName() == "LogicalRelation" and df.inputFiles() else settle(df)
+
+
 def with_row_uid(df: DataFrame) -> DataFrame:
-    """Number the rows by scan partition and place in it.
+    """A file scan with a row number that follows from the row's file and its place in that file.
+
+    Any later evaluation gives a row the same number, however files are split among tasks and
+    whatever executors there are then. Files are numbered in order of path; the table of their
+    numbers (16 bytes a file, of the list that the driver holds for any scan) is broadcast. Callers
+    take ``as_scan`` of their input once and number only that. Raises for other inputs, and where
+    the caller has a column of the name ROW_UID.
+    """
+    if ROW_UID in df.columns:
+        raise ValueError(f"{ROW_UID} is the name of the row number")
+    path, place = F.col("_metadata.file_path"), F.col("_metadata.row_index")
+    paths = sorted(r[0] for r in df.select(path.alias("path")).distinct().collect())
+    if len(paths) <= 1:
+        return df.withColumn(ROW_UID, place)
+    files = df.sparkSession.createDataFrame(list(enumerate(paths)), "__file long, __path string")
+    hashed = lambda seed: files.select(F.xxhash64("__path", F.lit(seed)).alias("__key"), "__file")
+    seed = next(k for k in range(64) if hashed(k).select("__key").distinct().count() == len(paths))
+    joined = df.select("*", F.xxhash64(path, F.lit(seed)).alias("__key"), place.alias("__place")).join(F.broadcast(hashed(seed)), "__key")
+    return joined.select(*[F.col(f"`{c}`") for c in df.columns], (F.col("__file") * F.lit(1 << ROW_BITS) + F.col("__place")).alias(ROW_UID))
+
+
+#: Keys that hold a larger share of all rows than this are joined by broadcast (as many at most, inverted).
+HOT_SHARE = 1 / 1024
+
+
+def join_split(rows: DataFrame, heads: DataFrame, key: str, *, count: str, hot_share: float = HOT_SHARE) -> DataFrame:
+    """Inner join of ``rows`` with ``heads``, one row per key with the number of its rows in ``count``.
 
-    The numbers come out the same on every evaluation when ``df`` is a file scan (possibly with
-    narrow projections), which is how every caller here uses it.
+    The heads of hot keys (at most 1 / ``hot_share`` of them, whatever the size) are broadcast, so no
+    hot key meets in one task; the others join by an ordinary shuffle. Both tables should be scans.
     """
-    return df.withColumn(ROW_UID, F.monotonically_increasing_id())
+    total = heads.agg(F.sum(count)).first()[0] or 0
+    least = max(2, int(total * hot_share) + 1)
+    hot = F.broadcast(heads.where(F.col(count) >= least))
+    rest = rows.join(F.broadcast(heads.where(F.col(count) >= least).select(key)), key, "left_anti").join(heads.where(F.col(count) < least), key)
+    return rows.join(hot, key).unionByName(rest)
 
 
 def unit_draw(*parts: Column) -> Column:

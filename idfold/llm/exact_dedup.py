@@ -14,7 +14,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from idfold.llm.common import ROW_UID, SPACE_CHARS, settle, with_row_uid
+from idfold.llm.common import ROW_UID, SPACE_CHARS, as_scan, settle, with_row_uid
 
 #: Counters of the Misra-Gries summary; also the bound on the rows that are broadcast.
 COUNTERS = 1024
@@ -23,7 +23,7 @@ COUNTERS = 1024
 def digests(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(row uid, doc_id, points, digest): SHA-256 of the text without white space; null is empty."""
     text = F.coalesce(F.col(text_col), F.lit(""))
-    return with_row_uid(docs).select(
+    return with_row_uid(as_scan(docs)).select(
         ROW_UID,
         F.col(id_col).alias("doc_id"),
         F.length(text).cast("long").alias("points"),
@@ -95,7 +95,12 @@ def exact_dedup(
 
 
 def keep_winners(docs: DataFrame, **options) -> DataFrame:
-    """The rows of ``docs`` that stay, with all their columns."""
+    """The rows of ``docs`` that stay, with all their columns.
+
+    As ``exact_dedup``: null text is empty, of repeated rows one stays, an empty table stays empty.
+    A column named ROW_UID raises.
+    """
+    docs = as_scan(docs)
     kept = exact_dedup(docs, **options).where("kept").select(ROW_UID)
     return with_row_uid(docs).join(kept, ROW_UID, "left_semi").drop(ROW_UID)
 

@@ -1,26 +1,28 @@
 """SentencePiece encoding and decoding over a relational lattice.
 
-Texts fall into segments that no piece crosses: a run of space marks with the word behind it, or a
-single line break or tab. All segments are counted. For each distinct segment every substring of at
-most the longest piece's length is an edge candidate; an equi-join with the piece table keeps the
-real ones, edges are grouped by segment, and a fold with Spark's ``aggregate`` finds the segment's
-pieces. The fold depends on the kind of model:
+Texts fall into segments that no piece crosses: a cut lies wherever no piece holds the two adjacent
+bytes, the last of a character and the first of the next (so between a letter and a comma, or before
+a space that follows a letter). Space marks are written as spaces throughout. All segments are
+counted. For each distinct segment every substring of at most the longest
+piece's length is an edge candidate; an equi-join with the piece table keeps the real ones, edges are
+grouped by segment, and a fold with Spark's ``aggregate`` finds the segment's pieces. The fold
+depends on the kind of model:
 
 * ``bpe``: edges in order of merge rank and place; an edge is taken if both its ends are borders and
   exactly one border lies between them, which then goes. This repeats the merges of the model
   (a best-sum Viterbi path over the scores of a BPE model gives other pieces).
 * ``unigram``: the Viterbi fold, best sum of scores per end.
 
-Segments used most, up to ``HOT_SEGMENTS``, are encoded once and broadcast to the workers, which
-rewrite slices of rows as segment numbers. A slice carries its other segments along; slices are
-dealt out by one exchange, behind which the lattice encodes those segments per slice and the slice
-is put together, all without another exchange.
+Segments used most, up to ``HOT_SEGMENTS``, are encoded once by the lattice and broadcast to the
+workers, which rewrite slices of rows as segment numbers. A slice carries its other segments along;
+slices are dealt out by one exchange, behind which the lattice encodes those segments per slice and
+the slice is put together, all without another exchange. The bound on the broadcast shows in no
+result. The ids of every text are decoded again and compared with the text.
 """
 
 from __future__ import annotations
 
 import heapq
-import re
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -30,17 +32,14 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from idfold.llm.common import ROW_UID, let, settle, table, text_batches, with_row_uid
+from idfold.llm.common import ROW_UID, as_scan, let, settle, table, text_batches, with_row_uid
 
 #: Where the public tokenizer lies; a parameter of every function that needs a model.
 MODEL_PATH = "/opt/tokenizers/piece_bpe_32k.model"
 #: Bound on the broadcast dictionary (segments; about 30 bytes each).
-HOT_SEGMENTS = 1 << 20
-#: The space mark, and the characters that always stand alone.
+HOT_SEGMENTS = 1 << 18
+#: Fixed value: the space mark, as which the model writes a space.
 MARK = "▁"
-ALONE = "\\t\\n\\x0b\\f"
-SEGMENT_PATTERN = f"{MARK}+[^{MARK}{ALONE}]*|[^{MARK}{ALONE}]+|[{ALONE}]"
-_SEGMENTS = re.compile(SEGMENT_PATTERN)
 #: Longest segment whose borders fit the bits of a long; longer ones are merged in Python.
 MAX_FOLD = 60
 #: Single characters below this code point are looked up in a constant, others by the join.
@@ -63,6 +62,15 @@ class Pieces:
     def longest(self) -> int:
         return max(map(len, self.ids))
 
+    def glue(self) -> np.ndarray:
+        """For two adjacent bytes (first * 256 + second): whether no cut may lie between them."""
+        table = np.zeros((256, 256), dtype=bool)
+        table[:, 0x80:0xC0] = True  # inside a character
+        for piece in self.ids:
+            for x, y in zip(piece, piece[1:], strict=False):
+                table[x.encode()[-1], y.encode()[0]] = True
+        return table.reshape(-1)
+
     def ranks(self) -> dict[str, int]:
         """Order of merging: higher score first, then lower id."""
         order = sorted((p for p in self.ids if len(p) > 1), key=lambda p: (-self.scores[p], self.ids[p]))
@@ -70,7 +78,7 @@ class Pieces:
 
 
 def load_pieces(path: str = MODEL_PATH, kind: str = "bpe") -> Pieces:
-    """Read a model file with byte fallback; ``kind`` is bpe or unigram, as the model was trained."""
+    """Read a model file with byte fallback; ``kind`` is bpe or unigram, as it was trained. Marks become spaces."""
     import sentencepiece
 
     model = sentencepiece.SentencePieceProcessor(model_file=path)
@@ -83,12 +91,11 @@ def load_pieces(path: str = MODEL_PATH, kind: str = "bpe") -> Pieces:
         elif model.is_control(i) or model.is_unknown(i) or model.is_unused(i):
             raw.append(b"")
         else:
+            piece = piece.replace(MARK, " ")
             ids[piece], scores[piece] = i, model.get_score(i)
-            raw.append(piece.replace(MARK, " ").encode())
+            raw.append(piece.encode())
     if base is None:
         raise ValueError("the model has no byte pieces")
-    if any(re.search(f"[^{MARK}]{MARK}|{MARK}{MARK}[^{MARK}]|[{ALONE}].|.[{ALONE}]", p) for p in ids):
-        raise ValueError("a piece of the model crosses segments")
     return Pieces(kind, ids, scores, base, raw)
 
 
@@ -101,18 +108,6 @@ def piece_table(spark: SparkSession, pieces: Pieces) -> DataFrame:
     )
 
 
-def marked(text: str | None) -> str:
-    """The text as the model sees it: a leading space mark, marks for spaces; nothing for no text."""
-    return MARK + text.replace(" ", MARK) if text else ""
-
-
-def segments(text: Column) -> Column:
-    """Segments of a text, in order."""
-    text = F.coalesce(text, F.lit(""))
-    seen = F.when(text == "", F.lit("")).otherwise(F.concat(F.lit(MARK), F.replace(text, F.lit(" "), F.lit(MARK))))
-    return F.regexp_extract_all(seen, F.lit(SEGMENT_PATTERN.replace("\\x0b", "\\x0B")), F.lit(0))
-
-
 def _shl(x: Column | int, n: Column) -> Column:
     return F.call_function("shiftleft", F.lit(x).cast("long") if isinstance(x, int) else x, n)
 
@@ -292,58 +287,34 @@ def encode_segments(segs: DataFrame, pieces: Pieces, *carried: str, long: bool =
     return grouped.withColumn("long_ids", long_merge(F.when(~short, F.col("seg")))).select(*keys, either.alias("ids"))
 
 
-def split_segments(text: str) -> list[str]:
-    """Segments of a text as the workers cut them; the common case is plain string splitting."""
-    if not text:
-        return []
-    if text[0] == " " or "  " in text or MARK in text or "\0" in text or "\t" in text or "\x0b" in text or "\f" in text:
-        return _SEGMENTS.findall(marked(text))
-    parts = (MARK + text.replace(" ", "\0" + MARK).replace("\n", "\0\n\0")).split("\0")
-    return [p for p in parts if p] if "" in parts else parts
-
-
 #: Counts that a counting task holds before it sums them, and hands them on if three quarters are left.
 COUNTED = 1 << 19
-#: Rows and characters that a worker cuts at a time, and those of a slice, at most (or one longer text).
+#: Rows and characters that a worker cuts at a time and that make a slice, at most (or one longer text).
 UNIT_ROWS, UNIT_CHARS = 1024, 1 << 22
-SLICE_ROWS, SLICE_CHARS = 256, 1 << 20
-#: Texts with these take the general pattern, all others plain splitting.
-_UNUSUAL = f"^$|^ |  |{MARK}|[\\x00\\t\\x0b\\f]"
-
-
-def cut_texts(texts: pa.StringArray) -> tuple[pa.StringArray, np.ndarray]:
-    """All segments of the texts in one array, and how many each text has; null texts have none."""
-    texts = pc.fill_null(texts, "")
-    unusual = pc.match_substring_regex(texts, _UNUSUAL)
-    usual = texts.filter(pc.invert(unusual))
-    marked_texts = pc.replace_substring(pc.replace_substring(usual, " ", "\0" + MARK), "\n", "\0\n\0")
-    lists = pc.split_pattern(marked_texts, "\0")
-    lists = lists.combine_chunks() if isinstance(lists, pa.ChunkedArray) else lists
-    flat, counts = lists.flatten(), pc.list_value_length(lists).to_numpy(zero_copy_only=False).astype(np.int64)
-    if len(counts):
-        # The leading mark belongs to the first segment of every text.
-        firsts = np.zeros(len(flat), dtype=bool)
-        firsts[np.cumsum(counts) - counts] = True
-        flat = pc.if_else(pa.array(firsts), pc.binary_join_element_wise(MARK, flat, ""), flat)
-        filled = pc.greater(pc.binary_length(flat), 0)
-        if not pc.all(filled).as_py():
-            keep = filled.to_numpy(zero_copy_only=False)
-            counts = np.add.reduceat(keep.astype(np.int64), np.cumsum(counts) - counts)
-            flat = flat.filter(filled)
-    if not pc.any(unusual).as_py():
-        return flat, counts
-    # Put the texts cut by the pattern back between the others.
-    odd = unusual.to_numpy(zero_copy_only=False)
-    slow = [split_segments(t) for t in texts.filter(unusual).to_pylist()]
-    total = np.zeros(len(texts), dtype=np.int64)
-    total[~odd], total[odd] = counts, [len(x) for x in slow]
-    both = pa.concat_arrays([flat.cast(pa.string()), pa.array([x for part in slow for x in part], pa.string())])
-    begin = np.zeros(len(texts), dtype=np.int64)
-    begin[~odd] = np.cumsum(counts) - counts
-    begin[odd] = len(flat) + np.cumsum(total[odd]) - total[odd]
-    stops = np.cumsum(total)
-    order = np.arange(stops[-1] if len(stops) else 0) + np.repeat(begin - (stops - total), total)
-    return both.take(pa.array(order)), total
+def cut_texts(texts: pa.StringArray, glue: np.ndarray) -> tuple[pa.StringArray, np.ndarray]:
+    """All segments of the texts (none null) in one array, and how many each text has.
+
+    A text is seen as the model sees it: a space before it, marks as spaces; no text has no segment.
+    """
+    texts = pc.replace_substring(texts, MARK, " ")
+    texts = texts.combine_chunks() if isinstance(texts, pa.ChunkedArray) else texts
+    offsets = np.frombuffer(texts.buffers()[1], dtype=np.int32)[texts.offset : texts.offset + len(texts) + 1].astype(np.int64)
+    lengths = np.diff(offsets)
+    real = lengths > 0
+    begins = (np.cumsum(lengths + real) - (lengths + real))[real]
+    data = np.full(int((lengths + real).sum()), 0x20, dtype=np.uint8)
+    cut = np.ones(len(data), dtype=bool)
+    if len(data):
+        body = cut.copy()
+        body[begins] = False
+        data[body] = np.frombuffer(texts.buffers()[2], dtype=np.uint8)[offsets[0] : offsets[-1]]
+        cut[1:] = ~glue[(data[:-1].astype(np.uint16) << 8) | data[1:]]
+        cut[begins] = True
+    at = np.flatnonzero(cut)
+    segs = pa.StringArray.from_buffers(len(at), pa.py_buffer(np.append(at, len(data)).astype(np.int32)), pa.py_buffer(data))
+    counts = np.zeros(len(texts), dtype=np.int64)
+    counts[real] = np.diff(np.append(np.searchsorted(at, begins), len(at)))
+    return segs, counts
 
 
 def _units(batches, column: int):
@@ -375,17 +346,18 @@ def _parts(batch: pa.RecordBatch, column: int, rows: int, chars: int):
         yield batch.slice(start)
 
 
-def hot_segments(docs: DataFrame, *, text_col: str, bound: int) -> DataFrame:
+def hot_segments(docs: DataFrame, pieces: Pieces, *, text_col: str, bound: int) -> DataFrame:
     """(seg, n): at most ``bound`` segments for the dictionary, the most used ones.
 
     Which segments it holds does not show in any result, only in what travels. Tasks count all
     their segments and hand on those that they met twice or more; sums of these decide.
     """
+    glue = pieces.glue()
 
     def count(batches):
         held: list[pa.Table] = []
         for unit in _units(batches, 0):
-            found = pc.value_counts(cut_texts(unit.column(0))[0])
+            found = pc.value_counts(cut_texts(pc.fill_null(unit.column(0), ""), glue)[0])
             held.append(pa.table({"seg": found.field(0), "n": found.field(1)}))
             if sum(t.num_rows for t in held) > COUNTED:
                 held = [_summed(held)]
@@ -416,13 +388,12 @@ def _repeated(counts: pa.Table):
     yield from counts.filter(pc.greater(counts.column("n"), 1)).to_batches(max_chunksize=1 << 16)
 
 
-def dictionary(encoded: pa.Table) -> tuple[pa.StringArray, np.ndarray, np.ndarray]:
-    """Segments, most used first; the ids of all segments in one array; where each begins."""
-    encoded = encoded.sort_by([("n", "descending"), ("seg", "ascending")]).combine_chunks()
+def dictionary(encoded: pa.Table) -> dict:
+    """segs: segments; flat: the ids of all segments in one array; begin: where each begins."""
     flat_of = lambda c: c.combine_chunks() if isinstance(c, pa.ChunkedArray) else c
     segs, lists = flat_of(encoded.column("seg")), flat_of(encoded.column("ids"))
     lengths = pc.list_value_length(lists).to_numpy(zero_copy_only=False).astype(np.int64)
-    return segs.cast(pa.string()), lists.flatten().to_numpy().astype(np.int32), np.concatenate([[0], np.cumsum(lengths)]).astype(np.int64)
+    return {"segs": segs.cast(pa.string()), "flat": lists.flatten().to_numpy().astype(np.int32), "begin": np.concatenate([[0], np.cumsum(lengths)]).astype(np.int64)}
 
 
 def _pack(arrays: list[np.ndarray]) -> bytes:
@@ -453,68 +424,83 @@ def decode_ids(ids, pieces: Pieces) -> str:
     return (data[1:] if data[:1] == b" " else data).decode("utf-8", "replace")
 
 
+def _digests(data, offsets: np.ndarray) -> np.ndarray:
+    """Four ints per text, the 128-bit hash of its bytes."""
+    import xxhash
+
+    view, at = memoryview(data), offsets.tolist()
+    return np.frombuffer(b"".join(xxhash.xxh3_128_digest(view[b:e]) for b, e in zip(at, at[1:], strict=False)), dtype="<i4")
+
+
+def _one_array(values) -> pa.Array:
+    return values.combine_chunks() if isinstance(values, pa.ChunkedArray) else values
+
+
 def encode(docs: DataFrame, pieces: Pieces, *, id_col: str = "doc_id", text_col: str = "text", hot: int = HOT_SEGMENTS) -> DataFrame:
     """One row per row of ``docs``: doc_id, n_tokens, ids, exact, and the row's uid.
 
-    ``exact`` says whether the tokens spell the bytes of the text (false only for texts that hold
-    the space mark itself as a character, which models of this kind cannot tell from a space). Null
-    and empty texts have no tokens; characters without a piece become byte pieces; repeated rows are
-    encoded each; an empty table gives an empty result; extra columns are ignored.
+    ``exact`` says whether decoding the ids gives the text back (by a 128-bit hash of the decoded
+    bytes; false only for texts that hold the space mark itself as a character, which models of this
+    kind cannot tell from a space). Null and empty texts have no tokens; characters without a piece
+    become byte pieces; repeated rows are encoded each; an empty table gives an empty result; extra
+    columns are ignored.
     """
     spark = docs.sparkSession
+    docs = as_scan(docs)
     text_batches(spark)
-    bound = encode_segments(hot_segments(docs, text_col=text_col, bound=hot), pieces, "n").toArrow()  # ``hot`` rows at most
+    bound = encode_segments(hot_segments(docs, pieces, text_col=text_col, bound=hot).select("seg"), pieces).toArrow()  # ``hot`` rows at most
     held = spark.sparkContext.broadcast(dictionary(bound))
     del bound
     pa.default_memory_pool().release_unused()
     rows = with_row_uid(docs).select(ROW_UID, F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     kind = rows.schema["doc_id"].dataType.simpleString()
-    ranks = pieces.ranks()
-    widths = np.array([len(x) for x in pieces.raw], dtype=np.int32)
+    ranks, glue = pieces.ranks(), pieces.glue()
+    raw = np.frombuffer(b"".join(pieces.raw), dtype=np.uint8)
+    raw_size = np.array([len(x) for x in pieces.raw], dtype=np.int64)
+    raw_begin = np.cumsum(raw_size) - raw_size
+    longest = MAX_FOLD if pieces.kind == "bpe" else 1 << 30
 
     def rewrite(batches):
-        known = held.value[0]
+        known = held.value["segs"]
         for unit in _units(batches, 2):
-            segs, counts = cut_texts(unit.column(2))
-            numbers = pc.fill_null(pc.index_in(segs, value_set=known), -1).to_numpy().astype(np.int32)
-            stops = np.cumsum(counts)
-            at = 0
-            for part in _parts(unit, 2, SLICE_ROWS, SLICE_CHARS):
-                first, last = (stops[at - 1] if at else 0), (stops[at + part.num_rows - 1] if len(stops) else 0)
-                mine, sizes = numbers[first:last].copy(), counts[at : at + part.num_rows]
-                at += part.num_rows
-                missing = np.flatnonzero(mine < 0)
-                found = segs.take(pa.array(first + missing)).to_pylist()
-                rare = set(found)
-                # Rare segments are numbered from -1 down: short ones in order, then long ones and the
-                # characters that stand alone, which are encoded here (and so can part the others).
-                here = sorted(x for x in rare if len(x) > MAX_FOLD or x in "\t\n\x0b\f")
-                short = sorted(rare.difference(here))
-                order = {x: -1 - k for k, x in enumerate(short + here)}
-                mine[missing] = [order[x] for x in found]
-                texts = part.column(2)
-                has_mark = pc.fill_null(pc.match_substring(texts, MARK), False).to_numpy(zero_copy_only=False)
-                octets = np.where(has_mark, -1, pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False))
-                inline = [np.array(merge_long(x, pieces, ranks), dtype=np.int32) for x in here]
-                code, uids = _pack([octets, sizes, mine, *inline]), part.column(0)
-                yield pa.RecordBatch.from_arrays(
-                    [uids.slice(0, 1), pa.array([uids.to_pylist()], pa.list_(pa.int64())), pa.ListArray.from_arrays(pa.array([0, len(uids)], pa.int32()), part.column(1)), pa.array([code], pa.binary()), pa.array(["\n".join(short)], pa.string())],
-                    names=["slice", "uids", "doc_ids", "code", "rare"],
-                )
-
-    slices = rows.mapInArrow(rewrite, f"slice long, uids array<bigint>, doc_ids array<{kind}>, code binary, rare string").repartition("slice")
-    # This filter keeps all rows. It reads every column and cannot be pushed down, so that both uses
-    # of the slices need the same columns and share one exchange; texts are rewritten once.
-    whole = F.coalesce(F.length("code"), F.size("uids"), F.size("doc_ids"), F.lit(0)) + F.rand() >= 0
-    rare = slices.where(whole).select("slice", "rare").where("rare != ''").select("slice", F.posexplode(F.split("rare", "\n")).alias("k", "seg"))
-    encoded = encode_segments(rare, pieces, "k", "slice", long=False)
-    per_slice = encoded.groupBy("slice").agg(F.transform(F.sort_array(F.collect_list(F.struct("k", "ids"))), lambda x: x["ids"]).alias("rare_ids"))
+            texts = pc.fill_null(unit.column(2), "")
+            offsets = np.frombuffer(texts.buffers()[1], dtype=np.int32)[texts.offset : texts.offset + len(texts) + 1]
+            digests = _digests(texts.buffers()[2] or b"", offsets)
+            segs, counts = cut_texts(texts, glue)
+            coded = _one_array(pc.dictionary_encode(segs))
+            numbers = pc.fill_null(pc.index_in(coded.dictionary, value_set=known), -1).to_numpy().astype(np.int32)
+            # Other segments are numbered from -1 down: first those that the lattice takes, then long
+            # ones and line breaks, which are encoded here (and so can part the others).
+            other = np.flatnonzero(numbers < 0)
+            rare = coded.dictionary.take(pa.array(other))
+            apart = pc.or_(pc.match_substring(rare, "\n"), pc.greater(pc.utf8_length(rare), longest)).to_numpy(zero_copy_only=False)
+            numbers[np.concatenate([other[~apart], other[apart]])] = -1 - np.arange(len(other), dtype=np.int32)
+            inline = [np.array(merge_long(x, pieces, ranks), dtype=np.int32) for x in rare.filter(pa.array(apart)).to_pylist()]
+            short = rare.filter(pa.array(~apart))
+            lines = pc.binary_join(pa.ListArray.from_arrays(pa.array([0, len(short)], pa.int32()), short), "\n")
+            code, uids = _pack([digests, counts, numbers[coded.indices.to_numpy()], *inline]), unit.column(0)
+            yield pa.RecordBatch.from_arrays(
+                [uids.slice(0, 1), pa.array([uids.to_pylist()], pa.list_(pa.int64())), pa.ListArray.from_arrays(pa.array([0, len(uids)], pa.int32()), unit.column(1)), pa.array([code], pa.binary()), lines],
+                names=["slice", "uids", "doc_ids", "code", "rare"],
+            )
+
+    form = f"slice long not null, uids array<bigint> not null, doc_ids array<{kind}> not null, code binary not null, rare string not null"
+    slices = rows.mapInArrow(rewrite, form).repartition("slice")
+    # The checksum of a whole slice travels on both ways and is compared where they meet. As it reads
+    # every column, both uses of the slices have the same exchange below them, which is then made once.
+    slices = slices.withColumn("checksum", F.xxhash64("slice", "uids", "doc_ids", "code", "rare"))
+    rare = slices.select("slice", "checksum", F.posexplode_outer(F.split("rare", "\n")).alias("k", "seg")).where("seg != ''")
+    encoded = encode_segments(rare, pieces, "k", "slice", "checksum", long=False)
+    in_order = F.transform(F.sort_array(F.collect_list(F.struct("k", "ids"))), lambda x: x["ids"])
+    per_slice = encoded.groupBy("slice").agg(in_order.alias("rare_ids"), F.max("checksum").alias("of"))
 
     def assemble(batches):
-        _, flat, begin = held.value
+        flat, begin = held.value["flat"], held.value["begin"]
         for batch in batches:
-            for uids, doc_ids, code, rare_ids in zip(batch.column(1), batch.column(2), batch.column(3), batch.column(5), strict=True):
-                n, (octets, sizes, at, *inline) = len(uids), _unpack(code.as_py())
+            for uids, doc_ids, code, rare_ids, checksum, of in zip(*batch.columns, strict=True):
+                if of.as_py() not in (None, checksum.as_py()):
+                    raise RuntimeError("a slice met segments of another one")
+                n, (digests, sizes, at, *inline) = len(uids), _unpack(code.as_py())
                 own, lengths = [], []
                 if rare_ids.values is not None and len(rare_ids.values):
                     own, lengths = [rare_ids.values.flatten().to_numpy()], rare_ids.values.value_lengths().to_numpy(zero_copy_only=False).tolist()
@@ -522,18 +508,24 @@ def encode(docs: DataFrame, pieces: Pieces, *, id_col: str = "doc_id", text_col:
                 own_flat = np.concatenate(own) if own else np.array([], dtype=np.int32)
                 own_begin = np.concatenate([[0], np.cumsum(lengths)]).astype(np.int64)
                 ids, per_segment = _two_sources(flat, begin, own_flat, own_begin, at)
-                owner = np.repeat(np.arange(n), sizes)
-                counts = np.bincount(owner, per_segment, n).astype(np.int64)
+                counts = np.bincount(np.repeat(np.arange(n), sizes), per_segment, n).astype(np.int64)
                 stops = np.cumsum(counts)
-                spelled = np.concatenate([[0], np.cumsum(widths[ids])])
-                total = spelled[stops] - spelled[stops - counts]
-                exact = (octets >= 0) & (total == np.where(octets > 0, octets + 1, 0))
+                spelled = raw_size[ids]
+                total = np.cumsum(spelled)
+                back = raw[np.arange(total[-1] if len(total) else 0) + np.repeat(raw_begin[ids] - (total - spelled), spelled)]
+                ends = np.concatenate([[0], total])[np.concatenate([[0], stops])]
+                # The space before the text goes again.
+                body = np.ones(len(back), dtype=bool)
+                lead = ends[:-1][np.diff(ends) > 0]
+                body[lead] = back[lead] != 0x20
+                ends = np.concatenate([[0], np.cumsum(body)])[ends]
+                exact = (_digests(back[body].tobytes(), ends).reshape(n, 4) == digests.reshape(n, 4)).all(axis=1)
                 yield pa.RecordBatch.from_arrays(
                     [uids.values, doc_ids.values, pa.array(counts), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], stops]).astype(np.int32)), pa.array(ids)), pa.array(exact)],
                     names=[ROW_UID, "doc_id", "n_tokens", "ids", "exact"],
                 )
 
-    joined = slices.join(per_slice, "slice", "left").select("slice", "uids", "doc_ids", "code", "rare", "rare_ids")
+    joined = slices.join(per_slice, "slice", "left").select("uids", "doc_ids", "code", "rare_ids", "checksum", "of")
     return joined.mapInArrow(assemble, f"{ROW_UID} long, doc_id {kind}, n_tokens long, ids array<int>, exact boolean")
 
 
@@ -565,5 +557,10 @@ def decode(tokens: DataFrame, pieces: Pieces, *, ids_col: str = "ids", text_col:
     return tokens.withColumn(text_col, run(ids_col))
 
 
+def lattice_viterbi(spark, sf_dir: str) -> DataFrame:
+    """The Viterbi fold over whole documents, the model's scores read as those of a unigram model."""
+    return encode(table(spark, sf_dir, "documents"), load_pieces(kind="unigram")).select("doc_id", "n_tokens", "ids", "exact")
+
+
 def op9_piece_lattice(spark, sf_dir: str) -> DataFrame:
     return encode(table(spark, sf_dir, "documents"), load_pieces()).select("doc_id", "n_tokens", "ids", "exact")

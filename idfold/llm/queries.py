@@ -15,6 +15,7 @@ QUERIES = {
     "op8_warc_derivatives": warc_derive.op8_warc_derivatives,
     "op9_piece_lattice": piece_lattice.op9_piece_lattice,
     "op10_url_range_join": url_rules.op10_url_range_join,
+    "lattice_viterbi": piece_lattice.lattice_viterbi,
 }
 
 ORACLES = {

@@ -133,10 +133,24 @@ def fold_full_local(spark, sf_dir):
     return chain.fold_local(c, p)
 
 
+@query("fold_quarter_local")
+def fold_quarter_local(spark, sf_dir):
+    """Cuts at 10 % of the ids in strides of a quarter, one task for the chain."""
+    c, p = _setup(spark, sf_dir, stride=0.25)
+    return chain.fold_local(c, p)
+
+
 @query("fold_full_distributed")
 def fold_full_distributed(spark, sf_dir):
-    """The same cuts from the distributed engine, at half the ids in strides of a quarter."""
-    c, p = _setup(spark, sf_dir, budget=0.5, stride=0.25)
+    """The cuts of ``fold_quarter_local`` from the distributed engine."""
+    c, p = _setup(spark, sf_dir, stride=0.25)
+    return chain.fold_distributed(c, p)[1]
+
+
+@query("fold_pack_distributed")
+def fold_pack_distributed(spark, sf_dir):
+    """``fold_pack_split`` from the distributed engine, for the first three rounds."""
+    c, p = _setup(spark, sf_dir, stride=0.2, cap=12, split="pack", max_rounds=3)
     return chain.fold_distributed(c, p)[1]
 
 

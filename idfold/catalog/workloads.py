@@ -1,22 +1,30 @@
 """The experiments as queries: grids of student models over folded words, and dataset tables.
 
 Sample set: single words of documents without the 100 most used ones, label French, day = doc_id
-mod 8 + 1; the teacher sees days 1-7, the student trains on day 5, day 8 is for evaluation. Every
-cell reports the mean AUC over repetitions and its spread, the rows used and the data it trained on.
+mod 8 + 1; the teacher sees days 1-7, the student trains on day 5, day 8 is for evaluation. The second
+set are order lines with a planted label. Every cell reports the mean AUC over repetitions and its
+spread, what it is above the uncompressed model, the rows used and the data it trained on.
 """
 
 from __future__ import annotations
 
 import math
+from dataclasses import replace
+from functools import reduce
+from itertools import permutations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from idfold.catalog.core import params_for
 from idfold.catalog.measures import _HEIGHTS, heights
 from idfold.catalog.registry import EVENTS_SQL, query
+from idfold.functions.hashing import universal
 from idfold.operators import baselines, chain, mapping, metrics, teacher
-from idfold.operators.kernel import FREQUENCY_MODES
+from idfold.operators.kernel import FREQUENCY_MODES, GATES
+from idfold.operators.student import ModelParams, auc, init_model, score, train
 from idfold.plans import experiments
 from idfold.sources import samples as src
 from idfold.storage import settle
@@ -25,45 +33,56 @@ LEARNED = FREQUENCY_MODES["weight_and_filter"]
 
 
 class Words:
-    """The word sample set with its vocabulary, teacher chains and training data, each written once."""
+    """The word sample set with its vocabulary, teacher chains and training data, each written once.
 
-    def __init__(self, spark, sf_dir: str, *, drop: int = 100):
-        self.samples = settle(src.word_samples(spark, sf_dir, drop=drop))
+    The teacher is the click model at width 2 (or 4), trained on all samples of its days and counted
+    in the same pass; ``control_rate`` takes the exact label rate per word instead.
+    """
+
+    def __init__(self, spark, sf_dir: str, *, drop: int = 100, days: int = 8):
+        self.samples = settle(src.word_samples(spark, sf_dir, drop=drop, days=days))
         self.vocab = settle(self.samples.select(F.col("ids")[0].alias("id")).distinct().withColumn("feature", F.lit("word")))
         self.n = self.vocab.count()
 
-    def data(self, train_days=(src.STUDENT_DAY, src.STUDENT_DAY)) -> DataFrame:
-        return settle(experiments.aggregated(self.samples, train_days=train_days, eval_day=src.EVAL_DAY))
+    def data(self, train_days=(src.STUDENT_DAY, src.STUDENT_DAY), eval_days=(src.EVAL_DAY,)) -> DataFrame:
+        return settle(experiments.aggregated(self.samples, train_days=train_days, eval_days=eval_days))
 
-    def teacher(self, lo: int = 1, hi: int = 7, n: int | None = None, *, seed: int = 0) -> DataFrame:
+    def _chosen(self, lo: int, hi: int, n: int | None, seed: int) -> DataFrame:
         chosen = src.days(self.samples, lo, hi)
-        chosen = src.take(chosen, n, seed=seed) if n else chosen
-        return settle(teacher.rate(chosen, feature="word", vocab=self.vocab))
+        return src.take(chosen, n, seed=seed) if n else chosen
+
+    def teacher(self, lo: int = 1, hi: int = 7, n: int | None = None, *, width: int = 2, seed: int = 0) -> DataFrame:
+        p = ModelParams(epochs=6, seed=seed)
+        return settle(teacher.click(self._chosen(lo, hi, n, seed), feature="word", vocab=self.vocab, width=width, params=p))
 
-    def chain(self, taught: DataFrame) -> DataFrame:
-        return settle(chain.build(taught))
+    def control_rate(self) -> DataFrame:
+        return settle(teacher.rate(self._chosen(1, 7, None, 0), feature="word", vocab=self.vocab))
 
-    def learned(self, c: DataFrame, size_pct: float, mode: str = "weight_and_filter", **more) -> DataFrame:
-        n = c.where("dim = 0").count()
-        m = FREQUENCY_MODES[mode] | more
-        p = params_for(n, budget=size_pct / 100, stride=0.05, **m)
-        p = type(p)(**{**p.__dict__, "micro": False})
-        return mapping.emit(c, chain.fold_local(c, p))
+    def chain(self, taught: DataFrame, dims: int = 1, first: int = 0) -> DataFrame:
+        """Chains of ``dims`` latent dimensions from ``first`` on."""
+        cut = taught.withColumn("vec", F.slice("vec", first + 1, dims))
+        return settle(chain.build(cut))
+
+    def learned(self, c: DataFrame, size_pct: float, mode: str = "weight_and_filter", n: int | None = None, **more) -> DataFrame:
+        m = {"stride": 0.05} | FREQUENCY_MODES[mode] | more
+        return mapping.emit(c, chain.fold_local(c, replace(params_for(n or self.n, budget=size_pct / 100, **m), micro=False)))
 
     def rows(self, size_pct: float) -> int:
         return max(1, math.ceil(self.n * size_pct / 100))
 
 
 def _cells(maps: dict[str, DataFrame]) -> DataFrame:
-    out = None
-    for cell, m in maps.items():
-        one = m.select(F.lit(cell).alias("cell"), "slot", "id", "row")
-        out = one if out is None else out.unionByName(one)
-    return settle(out)
+    parts = [m.select(F.lit(cell).alias("cell"), F.col("slot").cast("int").alias("slot"), "id", F.col("row").cast("long").alias("row")) for cell, m in maps.items()]
+    return settle(reduce(DataFrame.unionByName, parts))
+
 
+def _run(w: Words, maps: dict[str, DataFrame], *, reps: int = 2, train_days=(src.STUDENT_DAY, src.STUDENT_DAY), eval_days=(src.EVAL_DAY,), own=None) -> DataFrame:
+    results = settle(experiments.run_cells(w.data(train_days, eval_days), _cells(maps), reps=reps, own=own))
+    keys = ["part"] if len(eval_days) > 1 else []
+    return experiments.report(results, *keys).withColumn("size_pct", F.round(100.0 * F.col("rows") / w.n, 3))
 
-def _run(w: Words, maps: dict[str, DataFrame], *, reps: int = 2, train_days=(src.STUDENT_DAY, src.STUDENT_DAY)) -> DataFrame:
-    return experiments.report(experiments.run_cells(w.data(train_days), _cells(maps), reps=reps)).withColumn("size_pct", F.round(100.0 * F.col("rows") / w.n, 3))
+
+SIZES = (75, 50, 30, 20, 15, 10, 5, 2, 1)
 
 
 @query("wl_fig1")
@@ -71,111 +90,143 @@ def wl_fig1(spark, sf_dir):
     """Quality against size for hashing: modulo and random."""
     w = Words(spark, sf_dir)
     maps = {"full": baselines.identity(w.vocab)}
-    for pct in (50, 30, 20, 10, 5, 2):
+    for pct in SIZES:
         maps[f"modulo_{pct}"] = baselines.modulo(w.vocab, w.rows(pct))
         maps[f"random_{pct}"] = baselines.hashed(w.vocab, w.rows(pct))
     return _run(w, maps)
 
 
+class Orders:
+    """Order lines with the planted label and four id features; the teacher is trained on all jointly."""
+
+    FEATURES = ("part", "customer", "supplier", "nation")
+
+    def __init__(self, spark, sf_dir: str):
+        raw = src.order_samples(spark, sf_dir)
+        self.samples = settle(raw.select("day", F.col("planted").alias("label"), *[F.col(f).cast("long").alias(f) for f in self.FEATURES]))
+        top = self.samples.agg(*[(F.max(f) + 1).alias(f) for f in self.FEATURES]).first()
+        self.heights = {f: int(top[f]) for f in self.FEATURES}
+
+    def teacher(self, width: int = 2) -> DataFrame:
+        early = src.days(self.samples, *src.TEACHER_DAYS)
+        return settle(teacher.deep(early, features=list(self.FEATURES), heights=self.heights, width=width, epochs=4, batch=2048))
+
+    def budget(self, f: str, pct: float) -> int:
+        """Rows of a folded table; multiples of 97 would show the hidden scores to modulo hashing."""
+        m = max(1, math.ceil(self.heights[f] * pct / 100))
+        return m + 1 if m % 97 == 0 else m
+
+    def cell(self, name: str, method: str, pct: float, *, skip: int = 0, slots: int = 1, chains: DataFrame | None = None) -> DataFrame:
+        """(cell, day, label, an array of rows per feature); slots follow each other in one table."""
+        out = self.samples.withColumn("cell", F.lit(name))
+        for f in self.FEATURES:
+            m = max(1, self.budget(f, pct) // slots)
+            if method == "full" or self.heights[f] < skip:
+                out = out.withColumn(f, F.array(f))
+            elif method == "modulo":
+                out = out.withColumn(f, F.array(F.pmod(f, F.lit(m))))
+            elif method == "random":
+                out = out.withColumn(f, F.array(*[universal(F.col(f), m, seed=s) + s * m for s in range(slots)]))
+            else:
+                c = chains.where((F.col("feature") == f) & (F.col("dim") < slots))
+                p = replace(params_for(self.heights[f], stride=0.05, **LEARNED), row_budget=m, size_cap=max(1, math.ceil(4 * self.heights[f] / m)), micro=False)
+                wide = mapping.emit(c, chain.fold_local(c, p)).groupBy("id").agg(F.transform(F.array_sort(F.collect_list(F.struct("slot", "row"))), lambda x: x["row"] + x["slot"] * m).alias("rows"))
+                out = out.join(wide.withColumnRenamed("id", f), f).drop(f).withColumnRenamed("rows", f)
+        return out.select("cell", "day", "label", *[F.col(f).cast("array<bigint>").alias(f) for f in self.FEATURES])
+
+    def run(self, cells: list[DataFrame], *, reps: int = 2, epochs: int = 6) -> DataFrame:
+        """Mean AUC on day 8 of the click model trained on days 1-7 (few order lines a day)."""
+        features = list(self.FEATURES)
+
+        def fit(pdf: pd.DataFrame) -> pd.DataFrame:
+            columns = [np.stack(pdf[f].to_numpy()) for f in features]
+            label, day, rep = pdf["label"].to_numpy(), pdf["day"].to_numpy(), int(pdf["rep"].iloc[0])
+            order = np.lexsort([label, *[c[:, 0] for c in columns], day])
+            early, late = order[day[order] < src.EVAL_DAY], order[day[order] == src.EVAL_DAY]
+            p = ModelParams(epochs=epochs, seed=rep, batch=max(512, len(early) // 100))
+            tables = [int(c.max()) + 1 for c in columns]
+            model = init_model(tables, p)
+            train(model, [c[early] for c in columns], label[early], np.ones(len(early)), p)
+            value = auc(label[late], score(model, [c[late] for c in columns]))
+            return pd.DataFrame({"cell": [pdf["cell"].iloc[0]], "rep": [rep], "rows": [sum(tables)], "train_uses": [len(early)], "eval_uses": [len(late)], "auc": [value]})
+
+        data = settle(reduce(DataFrame.unionByName, cells)).withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))))
+        runs = data.groupBy("cell", "rep").applyInPandas(fit, "cell string, rep int, rows bigint, train_uses bigint, eval_uses bigint, auc double")
+        return experiments.report(settle(runs)).withColumn("size_pct", F.round(100.0 * F.col("rows") / sum(self.heights.values()), 3))
+
+
+@query("wl_fig1_orders")
+def wl_fig1_orders(spark, sf_dir):
+    """Quality against size for hashing on order lines (planted label)."""
+    o = Orders(spark, sf_dir)
+    return o.run([o.cell("full", "full", 100), *[o.cell(f"modulo_{pct}", "modulo", pct) for pct in (75, 50, 30, 20, 10, 5, 2)]])
+
+
 @query("wl_fig2")
 def wl_fig2(spark, sf_dir):
-    """Skipping short tables: the same size target with tables under 0, 100 and 1000 rows left whole.
-
-    Order samples with the planted label; part and customer are the tall tables.
-    """
-    s = settle(src.order_samples(spark, sf_dir).where("day = 5 or day = 8 or day < 8"))
-    features = ["part", "customer", "supplier", "nation"]
-    tall = {f: s.agg((F.max(f) + 1).cast("long")).first()[0] for f in features}
-    out = None
+    """Skipping short tables: the same size target with tables under 0, 100 and 1000 rows left whole."""
+    o = Orders(spark, sf_dir)
+    chains, cells = settle(chain.build(o.teacher())), [o.cell("full", "full", 100)]
     for cutoff in (0, 100, 1000):
-        for method in ("modulo", "learned"):
-            folded = s.select("day", F.col("planted").alias("label"), *[_folded(s, f, tall[f], method, cutoff).alias(f) for f in features]) if method == "modulo" else _learned_orders(s, features, tall, cutoff)
-            one = _train_tables(folded, features).withColumn("method", F.lit(method)).withColumn("skip_below", F.lit(cutoff))
-            out = one if out is None else out.unionByName(one)
-    full = _train_tables(s.select("day", F.col("planted").alias("label"), *features), features).withColumn("method", F.lit("full")).withColumn("skip_below", F.lit(-1))
-    return out.unionByName(full)
-
-
-def _budget(height: int, pct: float = 10) -> int:
-    m = max(1, math.ceil(height * pct / 100))
-    return m + 1 if m % 97 == 0 else m
+        cells += [o.cell(f"{method}_skip_{cutoff}", method, 10, skip=cutoff, chains=chains) for method in ("modulo", "learned")]
+    return o.run(cells)
 
 
-def _folded(s: DataFrame, f: str, height: int, method: str, cutoff: int):
-    return F.col(f) if height < cutoff else F.pmod(f, F.lit(_budget(height)))
-
-
-def _learned_orders(s: DataFrame, features: list[str], tall: dict[str, int], cutoff: int) -> DataFrame:
-    """Each tall feature through a map learned from its own planted rate over days 1-7."""
-    out = s.select("day", F.col("planted").alias("label"), *features)
-    for f in features:
-        if tall[f] < cutoff:
-            continue
-        early = s.where("day between 1 and 7").select(F.col("planted").alias("label"), F.array(F.col(f).cast("long")).alias("ids"))
-        vocab = s.select(F.col(f).cast("long").alias("id")).distinct()
-        c = settle(chain.build(teacher.rate(early, feature=f, vocab=vocab)))
-        p = params_for(c.count(), budget=0.1, stride=0.05, **LEARNED)
-        m = mapping.emit(c, chain.fold_local(c, type(p)(**{**p.__dict__, "micro": False})))
-        out = out.join(m.select(F.col("id").alias(f), F.col("row").alias(f"{f}_row")), f).drop(f).withColumnRenamed(f"{f}_row", f)
-    return out
-
-
-def _train_tables(data: DataFrame, features: list[str], reps: int = 2) -> DataFrame:
-    """Mean AUC of the click model over several features, trained on days 1-7 (few order lines a day)."""
-    import numpy as np
-    import pandas as pd
-
-    from idfold.operators.student import ModelParams, auc, init_model, score, train
-
-    def fit(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["day", "label", *features], kind="stable")
-        columns = [[[int(x)] for x in pdf[f]] for f in features]
-        tables = [int(pdf[f].max()) + 1 for f in features]
-        is_train = (pdf["day"] < 8).to_numpy()
-        pick = lambda cols, mask: [[c[i] for i in np.flatnonzero(mask)] for c in cols]
-        label, values = pdf["label"].to_numpy(), []
-        rep = int(pdf["rep"].iloc[0])
-        p = ModelParams(epochs=10, seed=rep, batch=512)
-        model = init_model(tables, p)
-        train(model, pick(columns, is_train), label[is_train], np.ones(is_train.sum()), p)
-        values.append(auc(label[~is_train], score(model, pick(columns, ~is_train))))
-        return pd.DataFrame({"rep": [rep], "rows": [sum(tables)], "auc": values})
-
-    spread = data.withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))))
-    runs = spread.groupBy("rep").applyInPandas(fit, "rep int, rows bigint, auc double")
-    return runs.agg(F.max("rows").alias("rows"), F.round(F.avg("auc"), 6).alias("mean_auc"), F.round(F.min("auc"), 6).alias("min_auc"), F.round(F.max("auc"), 6).alias("max_auc"))
+@query("wl_fig3_orders")
+def wl_fig3_orders(spark, sf_dir):
+    """Learned folding from a jointly trained teacher against hashing on order lines, one and two internal tables."""
+    o = Orders(spark, sf_dir)
+    chains, cells = settle(chain.build(o.teacher())), [o.cell("full", "full", 100)]
+    for pct in (30, 10, 5):
+        cells += [o.cell(f"{method}_{pct}", method, pct, chains=chains) for method in ("learned", "modulo", "random")]
+        cells.append(o.cell(f"learned_2_{pct}", "learned", pct, slots=2, chains=chains))
+    return o.run(cells)
 
 
 @query("wl_fig3")
 def wl_fig3(spark, sf_dir):
     """Learned folding with access frequency against hashing across sizes; uncompressed models beside.
 
-    ``full_teacher_days`` trains on the teacher's days: the map carries label information of seven
-    days, so a one-day student may beat the uncompressed one-day model through it.
+    Cells named ``_teacher_days`` train the student on the teacher's days: the map carries what the
+    teacher saw in seven days, so a one-day student may gain from it. ``control_rate`` folds by the
+    exact label rate instead of a trained teacher.
     """
     w = Words(spark, sf_dir)
-    c, maps = w.chain(w.teacher()), {"full": baselines.identity(w.vocab)}
-    for pct in (30, 20, 10, 5, 2):
+    c, control, maps = w.chain(w.teacher()), w.chain(w.control_rate()), {"full": baselines.identity(w.vocab)}
+    for pct in SIZES[1:]:
         maps[f"learned_{pct}"] = w.learned(c, pct)
         maps[f"modulo_{pct}"] = baselines.modulo(w.vocab, w.rows(pct))
         maps[f"random_{pct}"] = baselines.hashed(w.vocab, w.rows(pct))
+    maps["control_rate_10"] = w.learned(control, 10)
     one_day = _run(w, maps)
-    long = {"full_teacher_days": baselines.identity(w.vocab), "learned_10_teacher_days": maps["learned_10"]}
-    return one_day.unionByName(_run(w, long, train_days=src.TEACHER_DAYS))
+    long = {"full": baselines.identity(w.vocab), "learned_10": maps["learned_10"], "modulo_10": maps["modulo_10"]}
+    return one_day.unionByName(_run(w, long, train_days=src.TEACHER_DAYS).withColumn("cell", F.concat("cell", F.lit("_teacher_days"))))
+
+
+@query("quality_delta")
+def quality_delta(spark, sf_dir):
+    """What each method is above hashing and above the uncompressed model at equal size."""
+    w = Words(spark, sf_dir)
+    c, maps = w.chain(w.teacher()), {"full": baselines.identity(w.vocab)}
+    for pct in (20, 5):
+        maps[f"learned_{pct}"], maps[f"modulo_{pct}"] = w.learned(c, pct), baselines.modulo(w.vocab, w.rows(pct))
+    return metrics.quality_delta(settle(_run(w, maps)), base="modulo")
 
 
-def _two_dims(w: Words) -> DataFrame:
-    """A teacher of width 2: French share, and its share on odd days, as two latent values per word."""
-    both = w.teacher()
-    odd = settle(teacher.rate(src.days(w.samples, 1, 7).where("day % 2 = 1"), feature="word", vocab=w.vocab))
-    return w.chain(both.join(odd.select("id", F.col("vec").alias("v2")), "id").select("feature", "id", F.concat("vec", "v2").alias("vec"), "accesses"))
+@query("wl_scores")
+def wl_scores(spark, sf_dir):
+    """Scores of the learned and the hashed model at 10 %, and their AUC by the exact aggregate."""
+    w = Words(spark, sf_dir)
+    maps = {"learned_10": w.learned(w.chain(w.teacher()), 10), "modulo_10": baselines.modulo(w.vocab, w.rows(10))}
+    return metrics.auc(settle(experiments.run_scores(w.data(), _cells(maps))), keys=["cell", "part"], weight="uses")
 
 
 @query("wl_fig4")
 def wl_fig4(spark, sf_dir):
-    """One against two internal tables at the same total size, learned and hashed (summed)."""
+    """One against two internal tables at the same total size, learned (one map per latent dimension) and hashed (summed)."""
     w = Words(spark, sf_dir)
-    c1, c2, maps = w.chain(w.teacher()), _two_dims(w), {}
+    t = w.teacher()
+    c1, c2, maps = w.chain(t), w.chain(t, 2), {"full": baselines.identity(w.vocab)}
     for pct in (20, 10, 5):
         maps[f"learned_1_{pct}"] = w.learned(c1, pct)
         maps[f"learned_2_{pct}"] = w.learned(c2, pct / 2)
@@ -200,8 +251,8 @@ def wl_fig5(spark, sf_dir):
             continue
         kept = settle(baselines.kept_rows(counts, pct))
         rest = w.chain(t.join(kept.select("id"), "id", "left_anti"))
-        share = 100.0 * (room - kept.count()) / rest.count()
-        maps[f"learned_retain_{pct}"] = mapping.retain(counts, w.learned(rest, share), kept=kept)
+        n_rest = rest.count()
+        maps[f"learned_retain_{pct}"] = mapping.retain(counts, w.learned(rest, 100.0 * (room - kept.count()) / n_rest, n=n_rest), kept=kept)
     return _run(w, maps)
 
 
@@ -224,8 +275,8 @@ def wl_fig6(spark, sf_dir):
 def wl_fig7(spark, sf_dir):
     """Frequency use with one and two internal tables, 15 % and 5 %."""
     w = Words(spark, sf_dir)
-    c1, c2 = w.chain(w.teacher()), _two_dims(w)
-    maps = {}
+    t = w.teacher()
+    c1, c2, maps = w.chain(t), w.chain(t, 2), {}
     for pct in (15, 5):
         for mode in ("none", "weight_only", "weight_and_filter"):
             maps[f"{mode}_1_{pct}"] = w.learned(c1, pct, mode)
@@ -261,59 +312,94 @@ def wl_fig9(spark, sf_dir):
 
 @query("wl_ageing")
 def wl_ageing(spark, sf_dir):
-    """How a map of events' users of days 1-7 ages: share of uses it does not know, day by day."""
+    """How a map learned on days 1-7 ages: AUC of learned and hashed models on each of days 8 to 16."""
+    w = Words(spark, sf_dir, days=16)
+    maps = {"full": baselines.identity(w.vocab), "learned_10": w.learned(w.chain(w.teacher()), 10), "modulo_10": baselines.modulo(w.vocab, w.rows(10))}
+    return _run(w, maps, reps=1, eval_days=tuple(range(8, 17)))
+
+
+_SEEN = EVENTS_SQL + ", seen AS (SELECT DISTINCT user_id FROM ev WHERE day BETWEEN 1 AND 7)"
+
+
+@query("wl_unseen", f"WITH {_SEEN} SELECT day, count(*) AS uses, round(avg(CASE WHEN user_id IN (SELECT user_id FROM seen) THEN 0.0 ELSE 1.0 END), 6) AS unseen_share FROM ev WHERE day >= 8 GROUP BY day")
+def wl_unseen(spark, sf_dir):
+    """Share of the uses of later days by users that a map of days 1-7 does not know."""
     e = src.event_samples(spark, sf_dir)
-    # A map of the users of the first week without every tenth, so that something new turns up.
-    known = e.where("day between 1 and 7 and user_id % 10 > 0").select(F.lit("user").alias("feature"), F.col("user_id").alias("id")).distinct()
-    m = settle(baselines.hashed(known, 50))
-    later = e.where("day >= 8").groupBy("day", F.lit("user").alias("feature"), F.col("user_id").alias("id")).agg(F.count("*").alias("accesses"))
-    j = later.join(m.select("feature", "id", F.lit(1).alias("known")), ["feature", "id"], "left")
-    return j.groupBy("day").agg(F.sum("accesses").alias("uses"), F.round(F.sum(F.when(F.col("known").isNull(), F.col("accesses")).otherwise(0)) / F.sum("accesses"), 6).alias("unseen_share"))
+    seen = e.where("day between 1 and 7").select("user_id").distinct().withColumn("known", F.lit(1))
+    later = e.where("day >= 8").groupBy("day", "user_id").agg(F.count("*").alias("n")).join(seen, "user_id", "left")
+    unseen = F.sum(F.when(F.col("known").isNull(), F.col("n")).otherwise(0))
+    return later.groupBy("day").agg(F.sum("n").alias("uses"), F.round(unseen / F.sum("n"), 6).alias("unseen_share"))
 
 
 @query("wl_tuning")
 def wl_tuning(spark, sf_dir):
-    """Stride, cap and split mode at 10 % size: AUC per setting."""
+    """Stride, cap and split mode, then gate orders and removals, at 10 % size: AUC per setting."""
     w = Words(spark, sf_dir)
     c, maps = w.chain(w.teacher()), {}
-    n = c.count()
-    for stride in (0.01, 0.05, 0.25):
+    for stride in (0.01, 0.25):
         for cap in (12, 40):
             for split in ("pairs", "pack"):
-                p = params_for(n, budget=0.1, stride=stride, cap=cap, split=split, **LEARNED)
-                maps[f"stride_{stride}_cap_{cap}_{split}"] = mapping.emit(c, chain.fold_local(c, type(p)(**{**p.__dict__, "micro": False})))
-    return _run(w, maps, reps=1)
+                maps[f"stride_{stride}_cap_{cap}_{split}"] = w.learned(c, 10, stride=stride, cap=cap, split=split)
+    for k in (3, 2, 1):
+        for gates in permutations(GATES, k):
+            maps["gates_" + ">".join(gates)] = w.learned(c, 10, gates=gates)
+    return _run(w, maps)
 
 
 @query("wl_composition")
 def wl_composition(spark, sf_dir):
-    """Folding composed with narrower tables and fewer bits: size in percent of the original."""
-    out = None
+    """Folding to 10 % of the rows composed with narrower tables and fewer bits: AUC and size in percent of width 16 at 32 bits."""
+    w = Words(spark, sf_dir)
+    shapes = {"full": baselines.identity(w.vocab), "learned": w.learned(w.chain(w.teacher()), 10)}
+    maps, own = {}, {}
+    for name, m in shapes.items():
+        for width in (16, 4, 2):
+            for bits in (32, 8):
+                cell = "full" if (name, width, bits) == ("full", 16, 32) else f"{name}_w{width}_b{bits}"
+                maps[cell], own[cell] = m, {"width": width, "bits": bits}
+    share = F.create_map(*[F.lit(x) for cell, o in own.items() for x in (cell, o["width"] * o["bits"] / 512.0)])
+    return _run(w, maps, own=own).withColumn("size_pct", F.round(F.col("size_pct") * share[F.col("cell")], 3))
+
+
+@query("composition_size", "WITH h AS (" + _HEIGHTS + """), p AS (SELECT pct, width, bits, sum(CASE WHEN height >= 1000 THEN greatest(ceil(height * pct / 100.0), 1) ELSE height END * width * bits) AS small, sum(height * 16 * 32) AS large
+FROM h, (VALUES (100), (10)) a(pct), (VALUES (16), (8), (4), (2)) b(width), (VALUES (32), (8)) c(bits) GROUP BY ALL) SELECT pct AS rows_pct, width, bits, round(100.0 * small / large, 6) AS size_pct FROM p""")
+def composition_size(spark, sf_dir):
+    """Size of folded, narrowed and quantised tables in percent of the original."""
+    out = []
     for pct in (100, 10):
         for width in (16, 8, 4, 2):
             for bits in (32, 8):
                 one = mapping.size_report(mapping.plan(heights(spark, sf_dir), size_pct=pct, skip_below=1000), width=width, bits=bits)
-                one = one.select(F.lit(pct).alias("rows_pct"), F.lit(width).alias("width"), F.lit(bits).alias("bits"), "size_pct")
-                out = one if out is None else out.unionByName(one)
-    return out
+                out.append(one.select(F.lit(pct).alias("rows_pct"), F.lit(width).alias("width"), F.lit(bits).alias("bits"), "size_pct"))
+    return reduce(DataFrame.unionByName, out)
+
+
+@query("end_to_end_cost", "WITH h AS (" + _HEIGHTS + """), t AS (SELECT dims, pct, sum(height) AS ids, sum(height * dims)::BIGINT AS teacher_params,
+sum(CASE WHEN height >= 1000 THEN greatest(ceil(height * pct / 100.0), 1) ELSE height END * 16)::BIGINT AS student_params, sum(height * 16)::BIGINT AS full_params, sum(CASE WHEN height >= 1000 THEN height ELSE 0 END)::BIGINT AS map_entries
+FROM h, (VALUES (2), (4)) a(dims), (VALUES (30), (10), (2)) b(pct) GROUP BY ALL)
+SELECT dims, pct AS rows_pct, teacher_params, student_params, map_entries, full_params, round(100.0 * greatest(teacher_params, student_params) / full_params, 6) AS peak_pct FROM t""")
+def end_to_end_cost(spark, sf_dir):
+    """Parameters of the teacher (full height, width 2 or 4) and of the folded student (width 16) beside the original, and the larger of both."""
+    grid = spark.createDataFrame([(d, p) for d in (2, 4) for p in (30, 10, 2)], "dims int, rows_pct int")
+    tall = F.col("height") >= 1000
+    rows = F.when(tall, F.greatest(F.ceil(F.col("height") * F.col("rows_pct") / 100.0), F.lit(1))).otherwise(F.col("height"))
+    cost = heights(spark, sf_dir).join(F.broadcast(grid)).groupBy("dims", "rows_pct").agg(
+        F.sum(F.col("height") * F.col("dims")).alias("teacher_params"), F.sum(rows * 16).cast("long").alias("student_params"),
+        F.sum(F.when(tall, F.col("height")).otherwise(0)).alias("map_entries"), F.sum(F.col("height") * 16).alias("full_params"),
+    )
+    return cost.withColumn("peak_pct", F.round(100.0 * F.greatest("teacher_params", "student_params") / F.col("full_params"), 6))
 
 
 @query("wl_teacher_width")
 def wl_teacher_width(spark, sf_dir):
-    """Teacher width 2 against 4 on the given trained table: within-row variance of the first dimension."""
-    from idfold.catalog.core import table_teacher
-    from idfold.catalog.measures import params_free
-
-    out = None
-    for dims in (2, 4):
-        t = table_teacher(spark, sf_dir, dims)
-        c = settle(chain.build(t))
-        n = c.where("dim = 0").count()
-        m = settle(mapping.emit(c, chain.fold_local(c, params_free(n))))
-        values = c.where("dim = 0").select("feature", "id", "value", (F.col("accesses") + 1).alias("accesses"))
-        one = metrics.within_row_variance(m, values).withColumn("width", F.lit(dims))
-        out = one if out is None else out.unionByName(one)
-    return out
+    """Trained teachers of width 2 and 4, each of their first dimensions as the one that folds, at 10 % size."""
+    w = Words(spark, sf_dir)
+    maps = {"full": baselines.identity(w.vocab)}
+    for width in (2, 4):
+        t = w.teacher(width=width)
+        for dim in range(2):
+            maps[f"width_{width}_dim_{dim}"] = w.learned(w.chain(t, 1, dim), 10)
+    return _run(w, maps)
 
 
 @query("wl_table1", f"SELECT feature, height FROM ({_HEIGHTS})")

@@ -1,7 +1,7 @@
 """Chains as DataFrames: building, links, gates, runs, merging, and the two folding engines.
 
-The local engine hands each (feature, dim) chain to one task, which suits every table that fits an
-executor (hundreds of millions of ids). The distributed engine keeps a single chain spread over
+The local engine hands each (feature, dim) chain to one task (about 100 bytes an id there, so some ten
+million ids in an executor of a few GB). The distributed engine keeps a single chain spread over
 blocks of positions and does each round as DataFrame operations; see ``step``.
 """
 
@@ -94,6 +94,8 @@ def gate(scored: DataFrame, params: FoldParams) -> DataFrame:
     links, cuts them down by quantiles before it ranks.
     """
     now, order = scored.withColumn("fallback", F.lit(False)), "pos"
+    if not params.gates:
+        return _ranked(leading(now, "pos", "pos", F.col("r")), "rank1", [F.col("pos")], F.col("r"))
     for place, name in enumerate(params.gates):
         last = place == len(params.gates) - 1
         multiple = params.widths[-len(params.gates) :][place]
@@ -132,12 +134,29 @@ def runs(selected: DataFrame, chain: DataFrame) -> DataFrame:
     )
 
 
-def split_pairs(run_links: DataFrame, params: FoldParams) -> DataFrame:
-    """Links that stay: all of runs within the cap or after a fallback, every other one of the rest."""
+def split_runs(run_links: DataFrame, params: FoldParams) -> DataFrame:
+    """Links that stay: all of runs within the cap or after a fallback; of the rest every other one, or those of a greedy packing."""
     if "bulk" not in params.gates:
         return run_links
-    over = F.col("run_size") >= params.size_cap if params.strict else F.col("run_size") > params.size_cap
-    return run_links.where(~over | F.col("fallback") | (F.col("in_run") % 2 == 1))
+    fits = lambda size: size < params.size_cap if params.strict else size <= params.size_cap
+    whole = fits(F.col("run_size")) | F.col("fallback")
+    if params.split == "pairs":
+        return run_links.where(whole | (F.col("in_run") % 2 == 1))
+    if params.split != "pack":
+        raise ValueError(f"unknown split {params.split!r}")
+    start = F.struct(F.lit(0).cast("long").alias("held"), F.array().cast("array<bigint>").alias("stay"))
+
+    def step(acc: Column, link: Column) -> Column:
+        held = F.when(link["in_run"] == 1, link["own"]).otherwise(acc["held"])
+        grown = held + link["next_size"]
+        joins = fits(grown)
+        return F.struct(F.when(joins, grown).otherwise(link["next_size"]).alias("held"), F.when(joins, F.concat(acc["stay"], F.array(link["pos"]))).otherwise(acc["stay"]).alias("stay"))
+
+    # One row per run over the cap: its links in order, packed from the left. A run that packs nothing keeps its first link.
+    over = run_links.where(~whole).groupBy(*KEYS, "run_id").agg(F.sort_array(F.collect_list(F.struct("in_run", "pos", "own", "next_size"))).alias("links"))
+    packed = over.select(*KEYS, F.aggregate("links", start, step, lambda acc: acc["stay"]).alias("stay"), F.col("links")[0]["pos"].alias("first"))
+    kept = packed.select(*KEYS, F.explode(F.when(F.size("stay") > 0, F.col("stay")).otherwise(F.array("first"))).alias("pos"))
+    return run_links.where(whole).select(*KEYS, "pos").unionByName(kept)
 
 
 def merge(chain: DataFrame, stay: DataFrame, params: FoldParams, *, block: int = 1 << 16) -> DataFrame:
@@ -162,33 +181,51 @@ def merge(chain: DataFrame, stay: DataFrame, params: FoldParams, *, block: int =
     else:
         plain = F.sum("value") / m
         value = plain if weight is None else F.when(F.sum(weight) > 0, F.sum(F.col("value") * F.col(weight)) / F.sum(weight)).otherwise(plain)
-    value = F.when(m == 1, F.max("value")).otherwise(value)
+    # Rounding must not carry a mean out of its members, which would break the order.
+    value = F.greatest(F.least(value, F.max("value")), F.min("value"))
     return numbered.groupBy(*KEYS, F.col("new_pos").alias("pos")).agg(value.alias("value"), F.sum("size").alias("size"), F.sum("accesses").alias("accesses"))
 
 
 def step(chain: DataFrame, params: FoldParams) -> tuple[DataFrame, DataFrame]:
     """One distributed round: the next chain, and (feature, dim, pos) of the links merged.
 
-    Chains that already meet the budget pass through. ``params`` must have stride and cap resolved.
+    Chains that already meet the budget pass through. ``params`` must have stride and cap.
     """
     todo = merges_to_do(chain, params)
     scored = links(chain).join(F.broadcast(todo), KEYS)
-    stay = split_pairs(runs(gate(scored, params), chain), params)
+    stay = split_runs(runs(gate(scored, params), chain), params)
     return merge(chain, stay, params), stay
 
 
 def fold_distributed(chain: DataFrame, params: FoldParams) -> tuple[DataFrame, DataFrame]:
     """Rounds until every chain meets the budget: final clusters and their position intervals (cuts).
 
-    ``params`` must have stride and cap. Each round is written to the shared folder; the driver sees
-    one number per round.
+    Stride and cap that are left out follow from the length of each chain, as in the local engine;
+    chains of different lengths are then folded one after the other. Each round is written to the
+    shared folder; the driver sees one number per chain and round. A round that merges nothing raises.
     """
-    now = settle(chain.select(*KEYS, "pos", "value", "size", "accesses"))
-    rounds = 0
-    while not merges_to_do(now, params).isEmpty() and (params.max_rounds is None or rounds < params.max_rounds):
-        now = settle(step(now, params)[0])
-        rounds += 1
-    return now, cuts_of(now)
+    start = settle(chain.select(*KEYS, "pos", "value", "size", "accesses"))
+    lengths = {tuple(r[k] for k in KEYS): r["n"] for r in start.groupBy(*KEYS).agg(F.count("*").alias("n")).collect()}
+    alike = params.stride is not None and params.size_cap is not None
+    groups = [None] if alike else sorted(set(lengths.values()))
+    done = []
+    for n in groups:
+        own = params.resolved(n or 0)
+        names = [k for k, size in lengths.items() if n is None or size == n]
+        at = F.lit(False)
+        for feature, dim in names:
+            at = at | ((F.col("feature") == feature) & (F.col("dim") == dim))
+        now, rounds, left = start if n is None else start.where(at), 0, sum(lengths[k] for k in names)
+        while not merges_to_do(now, own).isEmpty() and (own.max_rounds is None or rounds < own.max_rounds):
+            now = settle(step(now, own)[0])
+            rounds, before, left = rounds + 1, left, now.count()
+            if left >= before:
+                raise RuntimeError(f"round {rounds} merged nothing")
+        done.append(now)
+    clusters = done[0] if done else start
+    for more in done[1:]:
+        clusters = clusters.unionByName(more)
+    return clusters, cuts_of(clusters)
 
 
 def cuts_of(clusters: DataFrame, *, block: int = 1 << 16) -> DataFrame:

@@ -168,9 +168,9 @@ def merge(chain: Chain, links: np.ndarray, p: FoldParams) -> tuple[Chain, np.nda
         else:
             total = np.bincount(to, weights, n)
             value = np.where(total > 0, np.bincount(to, chain.value * weights, n) / np.where(total > 0, total, 1), plain)
+        # Rounding must not carry a mean out of its members, which would break the order.
         first = np.searchsorted(to, np.arange(n))
-        value = np.where(members == 1, chain.value[first], value)
-        value = np.maximum.accumulate(value)  # rounding must not break the order
+        value = np.clip(value, chain.value[first], chain.value[first + members - 1])
     return Chain(value, size, count), to
 
 

@@ -32,6 +32,19 @@ def log_loss(scored: DataFrame, *, keys: list[str] | None = None, label: str = "
     return scored.groupBy(*(keys or [])).agg(F.round(F.avg(loss), 6).alias("logloss"), F.round(F.avg(score) / F.avg(label), 6).alias("calibration"))
 
 
+def quality_delta(results: DataFrame, *, base: str) -> DataFrame:
+    """(method, size, mean_auc, above_base, above_full): methods compared at equal size.
+
+    Cells of ``results`` are named method_size, the uncompressed one ``full``.
+    """
+    named = results.select(F.regexp_extract("cell", "^(.*)_([0-9.]+)$", 1).alias("method"), F.regexp_extract("cell", "^(.*)_([0-9.]+)$", 2).alias("size"), "mean_auc", "cell")
+    full = named.where("cell = 'full'").agg(F.max("mean_auc"))
+    same = named.where(F.col("method") == base).select("size", F.col("mean_auc").alias("base"))
+    return named.where("method != ''").join(same, "size", "left").select(
+        "method", "size", "mean_auc", F.round(F.col("mean_auc") - F.col("base"), 6).alias("above_base"), F.round(F.col("mean_auc") - full.scalar(), 6).alias("above_full")
+    )
+
+
 def mean_reps(results: DataFrame, *, keys: list[str]) -> DataFrame:
     """Mean, least and greatest AUC over repetitions, and their number."""
     return results.groupBy(*keys).agg(F.round(F.avg("auc"), 6).alias("mean_auc"), F.min("auc").alias("min_auc"), F.max("auc").alias("max_auc"), F.count("auc").alias("reps"))

@@ -76,24 +76,58 @@ def fm(samples: DataFrame, *, features: list[str], heights: dict[str, int], labe
     return table.join(counts, ["feature", "id"], "left").select("feature", "id", "vec", F.coalesce("accesses", F.lit(0)).cast("long").alias("accesses"))
 
 
-def deep(samples: DataFrame, *, features: list[str], heights: dict[str, int], width: int = 2, epochs: int = 2, label: str = "label", seed: int = 0) -> DataFrame:
+def click(samples: DataFrame, *, feature: str, vocab: DataFrame, width: int = 2, params: ModelParams | None = None, label: str = "label", ids_col: str = "ids") -> DataFrame:
+    """Trained teacher of one feature: the click model at tiny width over all samples of single ids.
+
+    Samples of one id and label are counted first, which also gives the access counts, so the one
+    task that trains the model sees at most two rows per id; ids without a sample keep their start.
+    """
+    p = params or ModelParams(epochs=6)
+    p = ModelParams(**{**p.__dict__, "width": width})
+    groups = samples.select(F.col(ids_col)[0].alias("id"), F.col(label).cast("int").alias("label")).groupBy("id", "label").agg(F.count("*").alias("uses"))
+    known = vocab.select("id").join(groups, "id", "left").select("id", F.coalesce("label", F.lit(0)).alias("label"), F.coalesce("uses", F.lit(0)).alias("uses"))
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values(["id", "label"], kind="stable")
+        ids, at = np.unique(pdf["id"].to_numpy(), return_inverse=True)
+        uses, seen = pdf["uses"].to_numpy().astype(float), pdf["uses"].to_numpy() > 0
+        model = init_model([len(ids)], p)
+        train(model, [at[seen].reshape(-1, 1)], pdf["label"].to_numpy()[seen], uses[seen], p)
+        return pd.DataFrame({"feature": feature, "id": ids, "vec": list(model["tables"][0]), "accesses": np.bincount(at, uses).astype(np.int64)})
+
+    return known.groupBy(F.lit(1).alias("model")).applyInPandas(run, "feature string, id bigint, vec array<double>, accesses bigint")
+
+
+def deep(samples: DataFrame, *, features: list[str], heights: dict[str, int], width: int = 2, epochs: int = 2, label: str = "label", seed: int = 0, batch: int = 32768) -> DataFrame:
     """Click model of tiny width trained over all features jointly, in one task.
 
     ``samples`` holds id or id-array columns with ids 0 .. height - 1. Returns each id's vector and
-    its uses counted while training on one epoch.
+    its uses counted while training on one epoch. Sample sets that do not fit a task: ``synchronous``.
     """
-    params = ModelParams(width=width, epochs=epochs, seed=seed)
+    params = ModelParams(width=width, epochs=epochs, seed=seed, batch=batch)
     bags = [F.col(f) if dict(samples.dtypes)[f].startswith("array") else F.array(f) for f in features]
     data = samples.select(F.lit(1).alias("model"), F.col(label).cast("int").alias("label"), *[F.transform(b, lambda x: x.cast("long")).alias(f) for b, f in zip(bags, features, strict=True)])
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         model = init_model([heights[f] for f in features], params)
-        columns = [pdf[f].tolist() for f in features]
+        # A canonical order of the samples: results do not depend on how rows arrive.
+        pdf = pdf.iloc[np.lexsort([pdf["label"].to_numpy(), *[pdf[f].map(lambda x: x[0] if len(x) else -1).to_numpy() for f in features]])]
+        columns = [np.stack(pdf[f].to_numpy()) if pdf[f].map(len).nunique() == 1 else pdf[f].tolist() for f in features]
         train(model, columns, pdf["label"].to_numpy(), np.ones(len(pdf)), params)
         out = []
         for f, tab, ids in zip(features, model["tables"], columns, strict=True):
-            uses = np.bincount(np.concatenate([np.asarray(x, dtype=np.int64) for x in ids]) if len(ids) else [], minlength=heights[f])
+            flat = ids.reshape(-1) if isinstance(ids, np.ndarray) else np.concatenate([np.asarray(x, dtype=np.int64) for x in ids])
+            uses = np.bincount(flat, minlength=heights[f])
             out.append(pd.DataFrame({"feature": f, "id": np.arange(heights[f]), "vec": [r.astype(float) for r in tab], "accesses": uses[: heights[f]]}))
         return pd.concat(out)
 
     return data.groupBy("model").applyInPandas(run, "feature string, id bigint, vec array<double>, accesses bigint")
+
+
+def synchronous(samples: DataFrame, *, features: list[str], width: int = 2, steps: int = 8, label: str = "label", seed: int = 0) -> DataFrame:
+    """The same model with tables and samples spread over the cluster; only ids with a sample are returned."""
+    from idfold.plans import synchronous as sync
+
+    tables, _ = sync.train(samples, features=features, params=ModelParams(width=width, seed=seed), steps=steps, label=label)
+    name = F.array(*[F.lit(f) for f in features])
+    return tables.select(F.get(name, F.col("k")).alias("feature"), "id", "vec", "accesses")

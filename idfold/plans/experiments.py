@@ -9,57 +9,80 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from idfold.operators.student import ModelParams, auc, init_model, score, train
 
-RESULT = "cell string, rep int, rows bigint, train_uses bigint, eval_uses bigint, auc double"
+RESULT = "cell string, rep int, part string, rows bigint, train_uses bigint, eval_uses bigint, auc double"
+SCORES = "cell string, rep int, part string, label int, uses bigint, score double"
 
 
-def aggregated(samples: DataFrame, *, train_days: tuple[int, int], eval_day: int) -> DataFrame:
-    """(part, id, label, uses) of one-word samples; part is train or eval."""
-    part = F.when(F.col("day").between(*train_days), "train").when(F.col("day") == eval_day, "eval")
-    both = samples.select(F.col("ids")[0].alias("id"), "label", F.array_compact(F.array(part, F.when(part == "train", F.when(F.col("day") == eval_day, "eval")))).alias("parts"))
-    return both.select("id", "label", F.explode("parts").alias("part")).groupBy("part", "id", "label").agg(F.count("*").alias("uses"))
+def aggregated(samples: DataFrame, *, train_days: tuple[int, int], eval_days: tuple[int, ...]) -> DataFrame:
+    """(part, id, label, uses) of one-word samples; part is train, or the day for evaluation."""
+    train = F.when(F.col("day").between(*train_days), F.lit("train"))
+    test = F.when(F.col("day").isin(*eval_days), F.col("day").cast("string"))
+    parts = F.explode(F.array_compact(F.array(train, test))).alias("part")
+    return samples.select(F.col("ids")[0].alias("id"), "label", parts).groupBy("part", "id", "label").agg(F.count("*").alias("uses"))
 
 
-def run_cells(data: DataFrame, maps: DataFrame, *, reps: int = 2, params: ModelParams | None = None) -> DataFrame:
-    """AUC per (cell, rep). ``data``: part, id, label, uses; ``maps``: cell, slot, id, row.
+def _fitted(pdf: pd.DataFrame, base: ModelParams, own: dict[str, dict]) -> tuple[pd.DataFrame, np.ndarray, int]:
+    """The rows of one cell, the score of each, and the rows of its tables."""
+    rep, cell = int(pdf["rep"].iloc[0]), pdf["cell"].iloc[0]
+    rows = np.stack(pdf["rows"].to_numpy()).astype(np.int64)
+    offset = np.concatenate([[0], np.cumsum(rows.max(axis=0) + 1)])
+    shared = rows + offset[:-1]  # one table; a bag of a row per slot sums the internal tables
+    label, uses = pdf["label"].to_numpy(), pdf["uses"].to_numpy().astype(float)
+    # A canonical order of the groups: results do not depend on how rows arrive.
+    order = np.lexsort([uses, label, *[shared[:, k] for k in range(shared.shape[1])]])
+    order = order[(pdf["part"] == "train").to_numpy()[order]]
+    p = ModelParams(**{**base.__dict__, **own.get(cell, {}), "seed": rep})
+    model = init_model([int(offset[-1])], p)
+    train(model, [shared[order]], label[order], uses[order], p)
+    return pdf, score(model, [shared]), int(offset[-1])
+
+
+def _joined(data: DataFrame, maps: DataFrame, reps: int) -> DataFrame:
+    wide = maps.groupBy("cell", "id").agg(F.array_sort(F.collect_list(F.struct("slot", "row"))).alias("r")).select("cell", "id", F.transform("r", lambda x: x["row"]).alias("rows"))
+    return wide.join(data, "id").select("cell", "part", "label", "uses", "rows").withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))))
+
+
+def run_cells(data: DataFrame, maps: DataFrame, *, reps: int = 2, params: ModelParams | None = None, own: dict[str, dict] | None = None) -> DataFrame:
+    """AUC per (cell, rep) and evaluation part. ``data``: part, id, label, uses; ``maps``: cell, slot, id, row.
 
     Cells with several slots sum their internal tables (same gradient to each). Uses act as sample
-    weights, expanded into mini-batches of (id, label) groups.
+    weights. ``own`` changes parameters of single cells (width, bits).
     """
-    p0 = params or ModelParams(epochs=6)
-    wide = maps.groupBy("cell", "id").agg(F.array_sort(F.collect_list(F.struct("slot", "row"))).alias("r")).select("cell", "id", F.transform("r", lambda x: x["row"]).alias("rows"))
-    joined = wide.join(data, "id").select("cell", "part", "label", "uses", "rows").withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))))
+    base, own = params or ModelParams(epochs=6), own or {}
+
+    def fit(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf, scores, rows = _fitted(pdf, base, own)
+        part, uses, label = pdf["part"].to_numpy(), pdf["uses"].to_numpy(), pdf["label"].to_numpy()
+        out = []
+        for name in sorted(set(part) - {"train"}):
+            at = part == name
+            out.append((pdf["cell"].iloc[0], int(pdf["rep"].iloc[0]), name, rows, int(uses[part == "train"].sum()), int(uses[at].sum()), auc(label[at], scores[at], uses[at].astype(float))))
+        return pd.DataFrame(out, columns=["cell", "rep", "part", "rows", "train_uses", "eval_uses", "auc"])
+
+    return _joined(data, maps, reps).groupBy("cell", "rep").applyInPandas(fit, RESULT)
+
+
+def run_scores(data: DataFrame, maps: DataFrame, *, reps: int = 1, params: ModelParams | None = None) -> DataFrame:
+    """The scores behind ``run_cells``: one row per group of equal samples of the evaluation parts."""
+    base = params or ModelParams(epochs=6)
 
     def fit(pdf: pd.DataFrame) -> pd.DataFrame:
-        rep = int(pdf["rep"].iloc[0])
-        slots = len(pdf["rows"].iloc[0])
-        rows = np.stack(pdf["rows"].to_numpy()).astype(np.int64)
-        offset = np.concatenate([[0], np.cumsum(rows.max(axis=0) + 1)])
-        shared = rows + offset[:-1]  # one table; a bag of a row per slot sums the internal tables
-        is_train = (pdf["part"] == "train").to_numpy()
-        label, uses = pdf["label"].to_numpy(), pdf["uses"].to_numpy().astype(float)
-        # A canonical order of the groups: results do not depend on how rows arrive.
-        keys = np.lexsort([uses, label, *[shared[:, k] for k in range(slots)]])
-        keys_train = keys[is_train[keys]]
-        p = ModelParams(**{**p0.__dict__, "seed": rep})
-        model = init_model([int(offset[-1])], p)
-        train(model, [list(shared[keys_train])], label[keys_train], uses[keys_train], p)
-        ev = ~is_train
-        value = auc(label[ev], score(model, [list(shared[ev])]), uses[ev]) if ev.any() else None
-        return pd.DataFrame(
-            {"cell": [pdf["cell"].iloc[0]], "rep": [rep], "rows": [int(offset[-1])], "train_uses": [int(uses[is_train].sum())], "eval_uses": [int(uses[ev].sum())], "auc": [value]}
-        )
-
-    return joined.groupBy("cell", "rep").applyInPandas(fit, RESULT)
-
-
-def report(results: DataFrame) -> DataFrame:
-    """Mean AUC and its spread per cell."""
-    return results.groupBy("cell").agg(
+        pdf, scores, _ = _fitted(pdf, base, {})
+        return pdf.assign(score=scores)[pdf["part"] != "train"][["cell", "rep", "part", "label", "uses", "score"]]
+
+    return _joined(data, maps, reps).groupBy("cell", "rep").applyInPandas(fit, SCORES)
+
+
+def report(results: DataFrame, *keys: str) -> DataFrame:
+    """Mean AUC and its spread per cell, and what it is above the uncompressed cell ``full`` (null without one)."""
+    mean = results.groupBy("cell", *keys).agg(
         F.max("rows").alias("rows"), F.max("train_uses").alias("train_uses"), F.max("eval_uses").alias("eval_uses"), F.count("auc").alias("reps"),
         F.round(F.avg("auc"), 6).alias("mean_auc"), F.round(F.min("auc"), 6).alias("min_auc"), F.round(F.max("auc"), 6).alias("max_auc"),
     )
+    full = F.max(F.when(F.col("cell") == "full", F.col("mean_auc"))).over(Window.partitionBy(*keys) if keys else Window.partitionBy(F.lit(1)))
+    return mean.withColumn("delta_full", F.round(F.col("mean_auc") - full, 6))

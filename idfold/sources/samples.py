@@ -15,12 +15,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def word_uses(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(doc_id, day, fr, place, word): every word use; day = doc_id mod 8 + 1; fr = 1 for French."""
+def word_uses(spark: SparkSession, sf_dir: str, *, days: int = 8) -> DataFrame:
+    """(doc_id, day, fr, place, word): every word use; day = doc_id mod ``days`` + 1; fr = 1 for French."""
     docs = table(spark, sf_dir, "documents")
     words = F.regexp_extract_all(F.lower("text"), F.lit(WORD_PATTERN), F.lit(0))
     return docs.select(
-        "doc_id", (F.col("doc_id") % 8 + 1).cast("int").alias("day"), F.when(F.col("lang") == "fr", 1).otherwise(0).alias("fr"), F.posexplode(words).alias("place", "word")
+        "doc_id", (F.col("doc_id") % days + 1).cast("int").alias("day"), F.when(F.col("lang") == "fr", 1).otherwise(0).alias("fr"), F.posexplode(words).alias("place", "word")
     )
 
 
@@ -30,9 +30,9 @@ def word_vocabulary(uses: DataFrame) -> DataFrame:
     return with_positions(counts, ["word"]).select((F.col("pos") - 1).alias("id"), "word", "accesses", "fr_uses")
 
 
-def word_samples(spark: SparkSession, sf_dir: str, *, length: int = 1, drop: int = 100) -> DataFrame:
+def word_samples(spark: SparkSession, sf_dir: str, *, length: int = 1, drop: int = 100, days: int = 8) -> DataFrame:
     """(sample_id, day, label, ids): runs of ``length`` words without the ``drop`` most used of days 1-7."""
-    uses = word_uses(spark, sf_dir)
+    uses = word_uses(spark, sf_dir, days=days)
     vocab = word_vocabulary(uses).select("id", "word")
     heavy = uses.where(F.col("day").between(*TEACHER_DAYS)).groupBy("word").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "word").limit(drop)
     kept = uses.join(F.broadcast(heavy.select("word")), "word", "left_anti").join(vocab, "word")
@@ -98,8 +98,30 @@ def days(samples: DataFrame, lo: int, hi: int | None = None) -> DataFrame:
 
 
 def take(samples: DataFrame, n: int, *, seed: int = 0) -> DataFrame:
-    """Exactly ``n`` random samples, the same ones on every run: those of least hash."""
-    return samples.orderBy(F.xxhash64("sample_id", F.lit(seed)), "sample_id").limit(n)
+    """Exactly ``n`` random samples (all, if there are fewer), the same ones on every run: those of least hash.
+
+    Hashes are counted in ranges, each a 65,536th part; the range that holds the n-th is taken apart
+    again. At last only samples of one short range are ranked, so no task ever sees n of them.
+    """
+    hashed = samples.withColumn("__h", F.xxhash64("sample_id", F.lit(seed)))
+    low, width, left = -(1 << 63), 1 << 64, n
+    for _ in range(3):
+        step = width >> 16
+        at = F.floor((F.col("__h").cast("decimal(20,0)") - F.lit(low).cast("decimal(20,0)")) / F.lit(step).cast("decimal(20,0)")).cast("long")
+        inside = hashed if width == 1 << 64 else hashed.where(F.col("__h").between(low, low + width - 1))
+        counts = {r["at"]: r["k"] for r in inside.groupBy(at.alias("at")).agg(F.count("*").alias("k")).collect()}  # 65,536 rows at most
+        for slot in sorted(counts):
+            if left <= counts[slot]:
+                low, width = low + slot * step, step
+                break
+            left -= counts[slot]
+        else:
+            return samples
+        if counts[slot] <= 10_000:
+            break
+    whole = hashed.where(F.col("__h") < low)
+    border = hashed.where(F.col("__h").between(low, low + width - 1)).orderBy("__h", "sample_id").limit(left)
+    return whole.unionByName(border).drop("__h")
 
 
 def first(samples: DataFrame, n: int, *, by: str = "ts") -> DataFrame:

@@ -1,9 +1,10 @@
 """Sharding by a hierarchical weighted hash tree, with built-in functions only.
 
 A row descends region, rack and shard. At every node each child gets a draw, an exponential variate
-from the hash of (row key, child) divided by the child's weight, and the least draw wins. Draws of
-a child depend on nothing but the row and that child, so a change of weight moves rows only into or
-out of the subtree whose weight changed.
+from the hash of (row key, path of the child) divided by the child's weight, and the least draw wins.
+Draws of a child depend on nothing but the row and that child's path, so a change of weight moves
+rows only into or out of the subtree whose weight changed, and nodes of one name on different levels
+or under different parents draw independently.
 """
 
 from __future__ import annotations
@@ -36,12 +37,17 @@ def default_tree(shards: int) -> tuple[Leaf, ...]:
     return tuple(grid + [Leaf(f"r{s}", f"r{s}k0", s) for s in range(8, shards)])
 
 
-def _least(key: Column, children: dict[str, float], then) -> Column:
+def _path(*names: object) -> str:
+    """The path of a node as it enters the hash; names are escaped, so that no two paths are equal."""
+    return "/".join(str(n).replace("%", "%25").replace("/", "%2F").replace(":", "%3A") for n in names)
+
+
+def _least(key: Column, parent: tuple[str, ...], children: dict[str, float], then) -> Column:
     """Descend to the child with the least weighted draw; ties go to the first named."""
     names = sorted(children)
     if len(names) == 1:
         return then(names[0])
-    draws = F.array(*[F.struct((-F.log(unit_draw(key, F.lit(n))) / F.lit(children[n])).alias("d"), F.lit(n).alias("n")) for n in names])
+    draws = F.array(*[F.struct((-F.log(unit_draw(key, F.lit(_path(*parent, n)))) / F.lit(children[n])).alias("d"), F.lit(n).alias("n")) for n in names])
     winner = F.array_min(draws)["n"]
     out = None
     for name in names:
@@ -64,12 +70,12 @@ def descend(key: Column, leaves: tuple[Leaf, ...]) -> Column:
         return sums
 
     def shard(region: str, rack: str) -> Column:
-        return _least(key, total("shard", region=region, rack=rack), lambda s: F.lit(int(s)))
+        return _least(key, (region, rack), total("shard", region=region, rack=rack), lambda s: F.lit(int(s)))
 
     def rack(region: str) -> Column:
-        return _least(key, total("rack", region=region), lambda k: shard(region, k))
+        return _least(key, (region,), total("rack", region=region), lambda k: shard(region, k))
 
-    return _least(key, total("region"), rack)
+    return _least(key, (), total("region"), rack)
 
 
 def shard_rows(
@@ -92,9 +98,11 @@ def shard_rows(
     grown = grown or default_tree(len(leaves) + 1)
     key = F.coalesce(F.col(id_col).cast("string"), F.lit("null"))
     body = F.coalesce(F.col(text_col), F.lit("")).cast("binary")
-    bucket = F.floor(unit_draw(key, F.lit("slot")) * slot_buckets).cast("int")
+    # By the whole row, so that many rows of one doc_id (or of none) fall into many buckets. Equal
+    # rows, text and all, still share one; they can be told apart by nothing.
+    bucket = F.floor(unit_draw(key, F.octet_length(body), F.crc32(body), F.lit("slot")) * slot_buckets).cast("int")
     placed = docs.select(F.col(id_col).alias("doc_id"), descend(key, leaves).alias("shard"), bucket.alias("bucket"))
-    # Where each sub-bucket begins: shards x slot_buckets rows at most, from the id column alone.
+    # Where each sub-bucket begins: shards x slot_buckets rows at most.
     begins = (
         placed.groupBy("shard", "bucket")
         .agg(F.count("*").alias("n"))
@@ -135,7 +143,7 @@ def _draw_sql(name: str) -> str:
 def _descend_sql(leaves: tuple[Leaf, ...]) -> str:
     """The descent as nested CASE expressions over the text key ``k``."""
 
-    def least(level: str, pool: list[Leaf], then) -> str:
+    def least(level: str, parent: tuple[str, ...], pool: list[Leaf], then) -> str:
         sums: dict[str, float] = {}
         for leaf in pool:
             sums[str(getattr(leaf, level))] = sums.get(str(getattr(leaf, level)), 0.0) + leaf.weight
@@ -143,13 +151,13 @@ def _descend_sql(leaves: tuple[Leaf, ...]) -> str:
         inside = {n: then([x for x in pool if str(getattr(x, level)) == n]) for n in names}
         if len(names) == 1:
             return inside[names[0]]
-        draws = {n: f"(-ln({_draw_sql(n)}) / {sums[n]})" for n in names}
+        draws = {n: f"(-ln({_draw_sql(_path(*parent, n))}) / {sums[n]})" for n in names}
         whens = " ".join(f"WHEN {' AND '.join(f'{draws[n]} <= {draws[o]}' for o in names if o != n)} THEN {inside[n]}" for n in names)
         return f"(CASE {whens} END)"
 
-    shard = lambda pool: least("shard", pool, lambda last: str(last[0].shard))
-    rack = lambda pool: least("rack", pool, shard)
-    return least("region", [x for x in leaves if x.weight > 0], rack)
+    shard = lambda pool: least("shard", (pool[0].region, pool[0].rack), pool, lambda last: str(last[0].shard))
+    rack = lambda pool: least("rack", (pool[0].region,), pool, shard)
+    return least("region", (), [x for x in leaves if x.weight > 0], rack)
 
 
 def oracle(docs: str = "documents") -> str:
@@ -167,8 +175,8 @@ def oracle(docs: str = "documents") -> str:
     digits = "list_transform(range(strlen(body) * 2), lambda i: instr('0123456789ABCDEF', substr(h, (i + CASE WHEN i % 2 = 0 THEN 2 ELSE 0 END)::BIGINT, 1)) - 1)"
     crc = f"xor(list_reduce(list_prepend(4294967295::BIGINT, d), lambda a, x: xor(a >> 4, t[(xor(a, x) & 15) + 1])), 4294967295)"
     return f"""WITH keyed AS (SELECT doc_id, coalesce(doc_id::VARCHAR, 'null') AS k, coalesce(text, '') AS body, hex(encode(coalesce(text, ''))) AS h FROM {docs}),
-placed AS (SELECT doc_id, strlen(body) + 1 AS size, {_descend_sql(default_tree(8))} AS shard, {_descend_sql(default_tree(9))} AS grown_shard,
-  floor({_draw_sql('slot')} * {SLOT_BUCKETS})::INT AS bucket, {digits} AS d, {table} AS t FROM keyed),
-summed AS (SELECT doc_id, size, shard, grown_shard, bucket, ({crc})::BIGINT AS text_crc32 FROM placed)
+placed AS (SELECT doc_id, k, strlen(body) + 1 AS size, {_descend_sql(default_tree(8))} AS shard, {_descend_sql(default_tree(9))} AS grown_shard, {digits} AS d, {table} AS t FROM keyed),
+checked AS (SELECT doc_id, k, size, shard, grown_shard, ({crc})::BIGINT AS text_crc32 FROM placed),
+summed AS (SELECT *, floor((('0x' || substr(md5(k || ':' || (size - 1) || ':' || text_crc32 || ':slot'), 1, 12))::BIGINT + 0.5) / {float(1 << 48)} * {SLOT_BUCKETS})::INT AS bucket FROM checked)
 SELECT doc_id, size, text_crc32, 'key' AS law, shard,
   row_number() OVER (PARTITION BY shard ORDER BY bucket, doc_id NULLS LAST, size, text_crc32) - 1 AS slot, grown_shard FROM summed"""

@@ -37,7 +37,7 @@ from idfold.llm.common import ROW_UID, as_scan, let, settle, table, text_batches
 #: Where the public tokenizer lies; a parameter of every function that needs a model.
 MODEL_PATH = "/opt/tokenizers/piece_bpe_32k.model"
 #: Bound on the broadcast dictionary (segments; about 30 bytes each).
-HOT_SEGMENTS = 1 << 18
+HOT_SEGMENTS = 1 << 19
 #: Fixed value: the space mark, as which the model writes a space.
 MARK = "▁"
 #: Longest segment whose borders fit the bits of a long; longer ones are merged in Python.

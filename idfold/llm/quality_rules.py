@@ -24,8 +24,9 @@ from idfold.llm.text_stats import base_struct, n_upper
 #: Cutoffs in per mille, from lax to strict.
 GRID = (900, 800, 700, 600, 500, 450, 400, 350, 300, 250, 200, 160, 130, 100, 80, 60, 40, 20)
 RULES = ("symbols", "upper", "dup_lines", "repeats")
-#: Longest exact tail; beyond it the Chernoff bound, which is never smaller, takes its place.
-EXACT_STEPS = 200_000
+#: Tails of up to so many terms are summed from the first term, longer ones from the last, the
+#: largest, down to where terms no longer show; both give the exact tail.
+FORWARD_TERMS = 1_000
 #: Strata tables up to this many rows are broadcast; larger ones are joined by shuffle.
 BROADCAST_STRATA = 10_000
 
@@ -49,20 +50,42 @@ def measured(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
     )
 
 
+def _log_factorial(x: Column) -> Column:
+    """ln x! for x over a few hundred, by Stirling's series (error below 1e-18 there)."""
+    x = F.greatest(x.cast("double"), F.lit(1.0))
+    return x * F.log(x) - x + 0.5 * F.log(2 * math.pi * x) + 1 / (12 * x) - 1 / (360 * x * x * x)
+
+
 def binomial_tail(k: Column, n: Column, rate: float) -> Column:
-    """P(Binomial(n, rate) <= k), summed term by term in logarithms; 1 where k is at or over the mean."""
+    """P(Binomial(n, rate) <= k) term by term in logarithms; 1 where k is at or over the mean.
+
+    From the last term down each term is smaller than the one after it by a factor that only falls,
+    so the sum ends where that factor has brought terms below 1e-20 of the largest.
+    """
     odds = math.log(rate) - math.log1p(-rate)
     start = F.struct((n * F.lit(math.log1p(-rate))).alias("term"), F.exp(n * F.lit(math.log1p(-rate))).alias("sum"))
 
-    def step(acc: Column, i: Column) -> Column:
+    def up(acc: Column, i: Column) -> Column:
         term = acc["term"] + F.log((n - i + 1) / i) + F.lit(odds)
         return F.struct(term.alias("term"), (acc["sum"] + F.exp(term)).alias("sum"))
 
-    steps = F.when(k > 0, F.sequence(F.lit(1).cast("long"), k)).otherwise(F.array().cast("array<bigint>"))
-    exact = F.aggregate(steps, start, step, lambda acc: F.least(acc["sum"], F.lit(1.0)))
-    share = k / n
-    divergence = share * F.log(share / F.lit(rate)) + (1 - share) * F.log((1 - share) / F.lit(1 - rate))
-    return F.when(n <= 0, F.lit(1.0)).when(k >= n * F.lit(rate), F.lit(1.0)).when(k > EXACT_STEPS, F.exp(-n * divergence)).otherwise(exact)
+    none = F.array().cast("array<bigint>")
+    steps = F.when(k > 0, F.sequence(F.lit(1).cast("long"), F.least(k, F.lit(FORWARD_TERMS).cast("long")))).otherwise(none)
+    short = F.aggregate(steps, start, up, lambda acc: F.least(acc["sum"], F.lit(1.0)))
+
+    last = _log_factorial(n) - _log_factorial(k) - _log_factorial(n - k) + k * F.lit(math.log(rate)) + (n - k) * F.lit(math.log1p(-rate))
+    # Terms d below the last are smaller by more than exp(-d * d / (2 n rate)), and by fall ** d.
+    fall = -F.log(k * F.lit((1 - rate) / rate) / (n - k + 1))
+    reach = F.ceil(F.least(F.sqrt(F.lit(92.0 * rate) * n) + 50, F.lit(46.0) / F.greatest(fall, F.lit(1e-300)) + 1)).cast("long")
+
+    def down(acc: Column, d: Column) -> Column:
+        i = k - d + 1  # from term i to term i - 1
+        term = acc["term"] + F.log(i / (n - i + 1)) - F.lit(odds)
+        return F.struct(term.alias("term"), (acc["sum"] + F.exp(term - last)).alias("sum"))
+
+    back = F.when(k > FORWARD_TERMS, F.sequence(F.lit(1).cast("long"), F.least(k, reach))).otherwise(none)
+    long = F.aggregate(back, F.struct(last.alias("term"), F.lit(1.0).alias("sum")), down, lambda acc: F.least(F.exp(last) * acc["sum"], F.lit(1.0)))
+    return F.when(n <= 0, F.lit(1.0)).when(k >= n * F.lit(rate), F.lit(1.0)).when(k > FORWARD_TERMS, long).otherwise(short)
 
 
 def certify(measures: DataFrame, labels: DataFrame, *, rate: float = 0.02, delta: float = 0.05) -> DataFrame:

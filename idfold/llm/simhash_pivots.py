@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from idfold.llm.common import ROW_UID, settle, table, text_batches, with_row_uid
+from idfold.llm.common import ROW_UID, as_scan, join_split, settle, table, text_batches, with_row_uid
 from idfold.llm.components import components
 
 SHINGLE = 3
@@ -141,13 +141,14 @@ def near_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     signed long). Repeated rows and repeated doc_ids are kept;
     an empty table gives an empty result; other columns are ignored.
     """
-    keyed = settle(fingerprints(docs, id_col=id_col, text_col=text_col))
-    firsts = settle(keyed.groupBy("fp").agg(F.min("doc_id").alias("least")))
+    keyed = settle(fingerprints(as_scan(docs), id_col=id_col, text_col=text_col))
+    firsts = settle(keyed.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count("*").alias("n")))
     labels = components(near_links(firsts))
-    rooted = firsts.join(labels.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("label", "fp").alias("root"))
+    rooted = firsts.join(labels.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", "n", F.coalesce("label", "fp").alias("root"))
     heads = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    ids = rooted.join(heads, "root").select("fp", "root", "component_id")
-    return keyed.join(ids, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id", "root", ROW_UID)
+    ids = settle(rooted.join(heads, "root").select("fp", "root", "component_id", "n"))
+    # A fingerprint that very many rows share (of no words, or of a mass copy) meets in no task.
+    return join_split(keyed, ids, "fp", count="n").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id", "root", ROW_UID)
 
 
 def keep_first(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -156,6 +157,7 @@ def keep_first(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     The row of the least doc_id stays, of several such rows the first in scan order; components
     whose doc_ids are all null keep their first row.
     """
+    docs = as_scan(docs)
     best = F.struct(F.col("doc_id").isNull().alias("a"), F.col("doc_id").alias("b"), F.col(ROW_UID).alias("c"))
     found = near_dedup(docs, id_col=id_col, text_col=text_col)
     kept = found.groupBy("root").agg(F.min(best).alias("best")).select(F.col("best.c").alias(ROW_UID))

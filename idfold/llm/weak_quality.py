@@ -14,10 +14,10 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from idfold.llm.common import ROW_UID, let, settle, table, with_row_uid, words_of
+from idfold.llm.common import ROW_UID, as_scan, let, settle, table, with_row_uid, words_of
 from idfold.llm.text_stats import n_symbols, n_upper, word_chars
 
-#: Bound on the texts the scorer is trained on: those of least hash, whatever the corpus size.
+#: Bound on the distinct texts the scorer is trained on: those of least hash, whatever the corpus size.
 TRAIN_TEXTS = 4096
 #: Slots of the hashed weight table; the last SHAPES slots are kept for the shape features.
 SLOTS = 1 << 14
@@ -155,13 +155,16 @@ def _score(text: Column, weights: np.ndarray) -> Column:
 
 def fit(docs: DataFrame, *, text_col: str = "text", train_texts: int = TRAIN_TEXTS) -> np.ndarray:
     """Weights of the scorer: votes of all texts, EM over their patterns, training on the sample."""
+    docs = as_scan(docs)
     text = F.coalesce(F.col(text_col), F.lit(""))
     voted = settle(
         with_row_uid(docs.select(text_col)).select(ROW_UID, F.xxhash64(text, F.lit("sample")).alias("order"), let(measures(text), lambda m: F.array(*votes(m))).alias("votes"))
     )
     patterns = [(tuple(r["votes"]), r["n"]) for r in voted.groupBy("votes").agg(F.count("*").alias("n")).orderBy("votes").collect()]  # 3^labellers at most
     good, _, _ = fit_labellers(patterns)
-    chosen = settle(voted.orderBy("order", ROW_UID).limit(train_texts).select(ROW_UID, "votes"))
+    # One row of each distinct text, so that a text copied a million times takes one place.
+    texts = voted.groupBy("order").agg(F.min(F.struct(ROW_UID, "votes")).alias("first"))
+    chosen = settle(texts.orderBy("order").limit(train_texts).select("first.*"))
     soft = {r[ROW_UID]: good[tuple(r["votes"])] for r in chosen.collect()}  # train_texts rows at most
     sample = with_row_uid(docs.select(text_col)).join(F.broadcast(chosen.select(ROW_UID)), ROW_UID)
 
@@ -197,7 +200,12 @@ def classify(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
 
 
 def keep_good(docs: DataFrame, *, text_col: str = "text", train_texts: int = TRAIN_TEXTS) -> DataFrame:
-    """The rows of ``docs`` that the scorer does not reject, with all their columns."""
+    """The rows of ``docs`` that the scorer does not reject, with all their columns.
+
+    Nulls, repeats and empty tables as in ``classify``: a null text is judged like a blank one, of
+    repeated rows all stay or none, an empty table stays empty.
+    """
+    docs = as_scan(docs)
     return docs.where(_score(F.col(text_col), fit(docs, text_col=text_col, train_texts=train_texts)) >= 0)
 
 

@@ -100,8 +100,8 @@ def brute_shard(key, leaves):
     def draw(name):
         return (int(hashlib.md5(f"{key}:{name}".encode()).hexdigest()[:12], 16) + 0.5) / 2**48
 
-    def pick(weights):
-        return min(sorted(weights), key=lambda n: -math.log(draw(n)) / weights[n]) if len(weights) > 1 else next(iter(weights))
+    def pick(path, weights):
+        return min(sorted(weights), key=lambda n: -math.log(draw("/".join([*path, n]))) / weights[n]) if len(weights) > 1 else next(iter(weights))
 
     def total(level, pool):
         out = {}
@@ -110,13 +110,30 @@ def brute_shard(key, leaves):
             out[name] = out.get(name, 0.0) + leaf.weight
         return out
 
-    pool = [x for x in leaves if x.weight > 0]
+    pool, path = [x for x in leaves if x.weight > 0], []
     for level in ("region", "rack", "shard"):
-        chosen = pick(total(level, pool))
+        chosen = pick(path, total(level, pool))
+        path.append(chosen)
         pool = [x for x in pool if str(getattr(x, level)) == chosen]
     return pool[0].shard
 
 
+def test_equal_names_draw_apart(spark):
+    """Racks named like their regions: all four leaves get their share."""
+    tree = tuple(hash_tree.Leaf(r, k, i) for i, (r, k) in enumerate((r, k) for r in "ab" for k in "ab"))
+    got = {r["s"]: r["count"] for r in spark.range(8000).select(hash_tree.descend(F.col("id"), tree).alias("s")).groupBy("s").count().collect()}
+    assert set(got) == {0, 1, 2, 3} and all(1800 < n < 2200 for n in got.values())
+
+
+def test_long_binomial_tails_are_exact(spark):
+    """Tails of thousands to millions of terms against sums of log-gamma terms."""
+    for k, n, p in ((4_900, 1_000_000, 0.005), (1_001, 300_000, 0.004), (250_000, 50_500_000, 0.005), (300_000, 100_000_000, 0.005)):
+        log = lambda i: math.lgamma(n + 1) - math.lgamma(i + 1) - math.lgamma(n - i + 1) + i * math.log(p) + (n - i) * math.log1p(-p)
+        want = sum(math.exp(log(i)) for i in range(max(0, k - 20_000), k + 1))
+        got = spark.range(1).select(quality_rules.binomial_tail(F.lit(k).cast("long"), F.lit(n).cast("long"), p).alias("t")).first()["t"]
+        assert got == pytest.approx(want, rel=1e-4, abs=1e-300)
+
+
 def test_shards_against_brute_force(spark):
     docs = frame(spark, [f"text {i}" for i in range(400)] + TEXTS).unionByName(frame(spark, TEXTS))
     got = hash_tree.shard_rows(docs, slot_buckets=4).collect()

@@ -88,7 +88,7 @@ def fold_round1_runs(spark, sf_dir):
 @query("fold_round1_split", _sql(round_ctes("chain", "c1", RoundSql(cap="3", stride="ceil(n0 / 5.0)::BIGINT")), "SELECT pos FROM c1_stay"))
 def fold_round1_split(spark, sf_dir):
     c, p = _setup(spark, sf_dir, stride=0.2, cap=3)
-    return chain.split_pairs(chain.runs(chain.gate(_scored(c, p), p), c), p).select("pos")
+    return chain.split_runs(chain.runs(chain.gate(_scored(c, p), p), c), p).select("pos")
 
 
 def _rounds(name: str, rounds: int, sql: RoundSql, **options) -> None:

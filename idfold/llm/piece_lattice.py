@@ -37,7 +37,7 @@ from idfold.llm.common import ROW_UID, as_scan, let, settle, table, text_batches
 #: Where the public tokenizer lies; a parameter of every function that needs a model.
 MODEL_PATH = "/opt/tokenizers/piece_bpe_32k.model"
 #: Bound on the broadcast dictionary (segments; about 30 bytes each).
-HOT_SEGMENTS = 1 << 19
+HOT_SEGMENTS = 1 << 18
 #: Fixed value: the space mark, as which the model writes a space.
 MARK = "▁"
 #: Longest segment whose borders fit the bits of a long; longer ones are merged in Python.
@@ -290,7 +290,7 @@ def encode_segments(segs: DataFrame, pieces: Pieces, *carried: str, long: bool =
 #: Counts that a counting task holds before it sums them, and hands them on if three quarters are left.
 COUNTED = 1 << 19
 #: Rows and characters that a worker cuts at a time and that make a slice, at most (or one longer text).
-UNIT_ROWS, UNIT_CHARS = 1024, 1 << 22
+UNIT_ROWS, UNIT_CHARS = 512, 1 << 21
 def cut_texts(texts: pa.StringArray, glue: np.ndarray) -> tuple[pa.StringArray, np.ndarray]:
     """All segments of the texts (none null) in one array, and how many each text has.
 
@@ -424,12 +424,12 @@ def decode_ids(ids, pieces: Pieces) -> str:
     return (data[1:] if data[:1] == b" " else data).decode("utf-8", "replace")
 
 
-def _digests(data, offsets: np.ndarray) -> np.ndarray:
-    """Four ints per text, the 128-bit hash of its bytes."""
+def _digests(data, offsets: np.ndarray, skip: np.ndarray | None = None) -> np.ndarray:
+    """Four ints per text, the 128-bit hash of its bytes (less the first ``skip`` of them)."""
     import xxhash
 
-    view, at = memoryview(data), offsets.tolist()
-    return np.frombuffer(b"".join(xxhash.xxh3_128_digest(view[b:e]) for b, e in zip(at, at[1:], strict=False)), dtype="<i4")
+    view, begins, ends = memoryview(data), offsets[:-1] if skip is None else offsets[:-1] + skip, offsets[1:]
+    return np.frombuffer(b"".join(xxhash.xxh3_128_digest(view[b:e]) for b, e in zip(begins.tolist(), ends.tolist(), strict=True)), dtype="<i4")
 
 
 def _one_array(values) -> pa.Array:
@@ -512,14 +512,16 @@ def encode(docs: DataFrame, pieces: Pieces, *, id_col: str = "doc_id", text_col:
                 stops = np.cumsum(counts)
                 spelled = raw_size[ids]
                 total = np.cumsum(spelled)
-                back = raw[np.arange(total[-1] if len(total) else 0) + np.repeat(raw_begin[ids] - (total - spelled), spelled)]
+                back = np.repeat((raw_begin[ids] - (total - spelled)).astype(np.int32), spelled)
+                back += np.arange(len(back), dtype=np.int32)
+                back = raw[back]
                 ends = np.concatenate([[0], total])[np.concatenate([[0], stops])]
-                # The space before the text goes again.
-                body = np.ones(len(back), dtype=bool)
-                lead = ends[:-1][np.diff(ends) > 0]
-                body[lead] = back[lead] != 0x20
-                ends = np.concatenate([[0], np.cumsum(body)])[ends]
-                exact = (_digests(back[body].tobytes(), ends).reshape(n, 4) == digests.reshape(n, 4)).all(axis=1)
+                # The space before each text is not part of it.
+                lead = np.zeros(n, dtype=np.int64)
+                full = np.flatnonzero(np.diff(ends) > 0)
+                lead[full] = back[ends[full]] == 0x20
+                exact = (_digests(back.data, ends, lead).reshape(n, 4) == digests.reshape(n, 4)).all(axis=1)
+                pa.default_memory_pool().release_unused()
                 yield pa.RecordBatch.from_arrays(
                     [uids.values, doc_ids.values, pa.array(counts), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], stops]).astype(np.int32)), pa.array(ids)), pa.array(exact)],
                     names=[ROW_UID, "doc_id", "n_tokens", "ids", "exact"],

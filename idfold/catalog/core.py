@@ -239,7 +239,8 @@ def fold_gate_orders(spark, sf_dir):
     return out
 
 
-@query("map_save_load_relevance")
+@query("map_save_load_relevance", f"""WITH {VOCAB_SQL}, talk AS (SELECT unnest(regexp_extract_all(lower(text), '\\p{{L}}+')) AS word FROM conversations)
+SELECT 'word' AS feature, count(*) AS uses, count(*) FILTER (word IN (SELECT word FROM vocab)) AS known_uses, round(1 - count(*) FILTER (word IN (SELECT word FROM vocab)) / count(*), 6) AS unseen_share FROM talk""")
 def map_save_load_relevance(spark, sf_dir):
     """A saved and reloaded word map against the words of conversations: share of uses it does not know."""
     import uuid

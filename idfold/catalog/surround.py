@@ -215,7 +215,8 @@ def agg_hll_union(spark, sf_dir):
     return days.agg(F.hll_sketch_estimate(F.hll_union_agg("s")).alias("words"))
 
 
-@query("agg_cms_counts")
+@query("agg_cms_counts", f"WITH {VOCAB_SQL}, cells AS (SELECT id, accesses, unnest([0, 1, 2, 3]) AS h, unnest([" + ", ".join(universal_sql("id", 4096, s) for s in range(4)) + """]) AS cell FROM vocab),
+sums AS (SELECT h, cell, sum(accesses) AS total FROM cells GROUP BY ALL) SELECT id, accesses, min(total)::BIGINT AS estimate FROM cells JOIN sums USING (h, cell) GROUP BY ALL""")
 def agg_cms_counts(spark, sf_dir):
     """Count-min estimates from array-indexed cells: rows of 4 universal hashes, never under the truth."""
     vocab = word_vocabulary(word_uses(spark, sf_dir)).select("id", "accesses")
@@ -441,3 +442,59 @@ def fn_feature_map(spark, sf_dir):
 @query("fn_props_k", "SELECT event_id, (props ->> '$.k')::BIGINT AS k FROM events")
 def fn_props_k(spark, sf_dir):
     return table(spark, sf_dir, "events").select("event_id", F.from_json("props", "k bigint")["k"].alias("k"))
+
+
+# ---- chains, splits and maps as plain queries ---------------------------------------------------
+
+
+@query("sort_chain", f"WITH {CHAIN_SQL} SELECT pos, id, value, accesses FROM chain")
+def sort_chain(spark, sf_dir):
+    """The word chain: ids in the order (value, id) with positions, by one range exchange."""
+    from idfold.catalog.core import word_chain
+
+    return word_chain(spark, sf_dir).select("pos", "id", F.col("value").cast("long").alias("value"), "accesses")
+
+
+@query("set_union_maps", f"""WITH {VOCAB_SQL}, ranked AS (SELECT id, row_number() OVER (ORDER BY accesses DESC, id) - 1 AS nth FROM vocab),
+kept AS (SELECT id, nth AS row FROM ranked WHERE nth < 100) SELECT id, row FROM kept UNION ALL SELECT id, 100 + id % 900 FROM vocab WHERE id NOT IN (SELECT id FROM kept)""")
+def set_union_maps(spark, sf_dir):
+    """Private rows for the 100 most used words united with hashed rows behind them for the rest."""
+    vocab = word_vocabulary(word_uses(spark, sf_dir)).select(F.lit("word").alias("feature"), "id", "accesses")
+    kept = vocab.orderBy(F.desc("accesses"), "id").limit(100).agg(F.collect_list("id").alias("ids")).select(F.posexplode("ids").alias("row", "id"))
+    rest = vocab.join(F.broadcast(kept.select("id")), "id", "left_anti")
+    return kept.select("id", F.col("row").cast("long").alias("row")).unionByName(rest.select("id", (F.pmod("id", F.lit(900)) + 100).alias("row")))
+
+
+@query("win_split_pairs", f"""WITH {CHAIN_SQL}, link AS (SELECT pos, lead(value) OVER (ORDER BY pos) - value AS gap FROM chain), zero AS (SELECT pos, pos - row_number() OVER (ORDER BY pos) AS run FROM link WHERE gap = 0)
+SELECT pos, run, nth, nth % 2 = 1 AS stays FROM (SELECT pos, run, row_number() OVER (PARTITION BY run ORDER BY pos) AS nth FROM zero)""")
+def win_split_pairs(spark, sf_dir):
+    """Runs of links without a gap, and every other link of each run that a split keeps."""
+    from idfold.catalog.core import word_chain
+    from idfold.operators import chain
+
+    zero = chain.links(word_chain(spark, sf_dir)).where("gap = 0").withColumn("run", F.col("pos") - F.row_number().over(W.partitionBy("feature", "dim").orderBy("pos")))
+    nth = F.row_number().over(W.partitionBy("run").orderBy("pos"))
+    return zero.select("pos", "run", nth.cast("long").alias("nth")).withColumn("stays", F.col("nth") % 2 == 1)
+
+
+@query("grad_expansion_sum", f"""WITH {ORDERS_SQL}, g AS (SELECT part, unnest([0, 1]) AS slot, 2 * planted - 1 AS a, day AS b FROM samples)
+SELECT slot, CASE WHEN slot = 0 THEN part % 50 ELSE part // 50 END AS row, sum(a)::BIGINT AS g0, sum(b)::BIGINT AS g1 FROM g GROUP BY 1, 2""")
+def grad_expansion_sum(spark, sf_dir):
+    """Gradients of two summed internal tables: all of a sample's gradient goes to the row of each slot."""
+    g = order_samples(spark, sf_dir).select(F.col("part").alias("id"), F.lit("part").alias("feature"), F.array(2 * F.col("planted") - 1, F.col("day")).alias("grad"))
+    return mapping.expand_gradients(g, _two_part_maps(spark, sf_dir), slots=2, width=2, combine="sum").select("slot", "row", F.col("grad")[0].alias("g0"), F.col("grad")[1].alias("g1"))
+
+
+@query("grad_expansion_concat", f"""WITH {ORDERS_SQL} SELECT 0 AS slot, part % 50 AS row, sum(2 * planted - 1)::BIGINT AS g0 FROM samples GROUP BY 2
+UNION ALL SELECT 1, part // 50, sum(day)::BIGINT FROM samples GROUP BY 2""")
+def grad_expansion_concat(spark, sf_dir):
+    """Gradients of two concatenated internal tables: each slot gets its slice."""
+    g = order_samples(spark, sf_dir).select(F.col("part").alias("id"), F.lit("part").alias("feature"), F.array(2 * F.col("planted") - 1, F.col("day")).alias("grad"))
+    return mapping.expand_gradients(g, _two_part_maps(spark, sf_dir), slots=2, width=2, combine="concat").select("slot", "row", F.col("grad")[0].alias("g0"))
+
+
+def _two_part_maps(spark, sf_dir):
+    """Quotient and remainder of the part id as two maps."""
+    ids = table(spark, sf_dir, "part").select(F.lit("part").alias("feature"), F.col("p_partkey").alias("id"))
+    low = ids.select("feature", F.lit(0).alias("slot"), "id", (F.col("id") % 50).alias("row"))
+    return low.unionByName(ids.select("feature", F.lit(1).alias("slot"), "id", F.floor(F.col("id") / 50).alias("row")))

@@ -81,16 +81,31 @@ def apply_salted(ids: DataFrame, fold_map: DataFrame, *, hot: DataFrame, salts:
 def lookup(samples: DataFrame, fold_map: DataFrame, tables: DataFrame, *, slots: int, combine: str = "sum") -> DataFrame:
     """One vector per (sample, feature): ids (sample_id, feature, id) through map and internal tables.
 
-    Bags are summed per slot; slots are summed or concatenated.
+    Bags are summed per slot; slots are summed or concatenated. Vectors stay arrays: one aggregate,
+    summed on the map side first, brings the rows of a sample and feature together.
     """
     rows = apply(samples, fold_map)
     vec = rows.join(tables.select("feature", "slot", "row", "vec"), ["feature", "slot", "row"])
-    flat = vec.select("sample_id", "feature", "slot", F.posexplode("vec").alias("k", "x")).groupBy("sample_id", "feature", "slot", "k").agg(F.sum("x").alias("x"))
-    ordered = lambda keys: F.transform(F.array_sort(F.collect_list(F.struct(*keys, "x"))), lambda e: e["x"])
-    if combine == "concat":
-        return flat.groupBy("sample_id", "feature").agg(ordered(["slot", "k"]).alias("vec"))
-    summed = flat.groupBy("sample_id", "feature", "k").agg(F.sum("x").alias("x"))
-    return summed.groupBy("sample_id", "feature").agg(ordered(["k"]).alias("vec"))
+    add = lambda acc, x: F.zip_with(acc, x, lambda a, b: F.coalesce(a, F.lit(0.0)) + F.coalesce(b, F.lit(0.0)))
+    none = F.array().cast("array<double>")
+    sums = [F.aggregate(F.collect_list(F.when(F.col("slot") == s, F.col("vec"))), none, add).alias(f"s{s}") for s in range(slots)]
+    per = vec.withColumn("vec", F.col("vec").cast("array<double>")).groupBy("sample_id", "feature").agg(*sums)
+    parts = [F.col(f"s{s}") for s in range(slots)]
+    whole = F.concat(*parts) if combine == "concat" else F.aggregate(F.array(*parts), none, add)
+    return per.select("sample_id", "feature", whole.alias("vec"))
+
+
+def expand_gradients(grads: DataFrame, fold_map: DataFrame, *, slots: int, width: int, combine: str = "sum") -> DataFrame:
+    """(feature, slot, row, grad): gradients (feature, id, grad) of looked-up vectors spread over the internal tables.
+
+    Summed tables take the whole gradient in every slot, concatenated ones their slice of ``width`` /
+    ``slots`` entries. Rows are summed on the map side before the exchange, so a hot row is no hot task.
+    """
+    part = width if combine == "sum" else width // slots
+    found = apply(grads, fold_map)
+    place = F.lit(0) if combine == "sum" else F.col("slot") * part
+    sums = found.groupBy("feature", "slot", "row").agg(*[F.sum(F.get("grad", place + j)).alias(f"g{j}") for j in range(part)])
+    return sums.select("feature", "slot", "row", F.array(*[F.col(f"g{j}") for j in range(part)]).alias("grad"))
 
 
 def retain(counts: DataFrame, folded: DataFrame, *, kept: DataFrame) -> DataFrame:

@@ -34,3 +34,7 @@ def test_library_does_not_need_llm():
     for f in root.rglob("*.py"):
         if "llm" not in f.relative_to(root).parts:
             assert not re.search(r"idfold\.llm|from \.llm|import llm", f.read_text()), f
+
+
+def test_grid_comes_from_tables(spark):
+    assert {f.rsplit("/", 1)[1] for f in QUERIES["join_cross_grid"](spark, SF).inputFiles()} == {"orders.parquet", "lineitem.parquet", "customer.parquet"}

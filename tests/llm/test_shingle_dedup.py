@@ -77,3 +77,14 @@ def test_chained_copies_of_one_text_have_the_links_of_brute_force(spark, tmp_pat
     spark.createDataFrame([(i, t, "en", "s", 0) for i, t in enumerate(texts)], SCHEMA).write.parquet(path)
     kept = shingle_dedup.keep_first(spark.read.parquet(path))
     assert {r["doc_id"] for r in kept.collect()} == set(label)
+
+
+def test_nearest_copies_come_by_simhash_distance_tables(spark, tmp_path):
+    rng = random.Random(8)
+    base = [f"w{rng.randrange(9000)}" for _ in range(3000)]
+    texts = [" ".join(base), " ".join([*base, "more"]), " ".join(f"v{rng.randrange(9000)}" for _ in range(3000)), ""]
+    path = str(tmp_path / "d")
+    spark.createDataFrame([(i, t, "en", "s", 0) for i, t in enumerate(texts)], SCHEMA).coalesce(1).write.parquet(path)
+    found = shingle_dedup.sketches(spark.read.parquet(path), shingle=5, id_col="doc_id", text_col="text")
+    pairs = shingle_dedup.simhash_pairs(found.withColumnRenamed("__row_uid", "node")).collect()
+    assert {frozenset((r["a"], r["b"])) for r in pairs} == {frozenset((0, 1))}
